@@ -18,6 +18,8 @@ from pyspark.sql import functions as F
 SPACE_CHARS = "\x20\x09\x0a\x0b\x0c\x0d"
 SPACE = np.zeros(256, dtype=bool)
 SPACE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
+#: Bytes outside words when punctuation does not count: ASCII that is neither letter nor digit.
+PUNCT = np.array([i < 128 and not chr(i).isalnum() for i in range(256)])
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
@@ -151,13 +153,13 @@ def span_hashes(sums: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndar
     return mix((sums[end] - sums[start]) * inverse[start] + (end - start).astype(np.uint64))
 
 
-def word_bounds(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Start, end and text number of every word [^\\x20\\x09-\\x0D]+."""
+def word_bounds(data: np.ndarray, offsets: np.ndarray, gap: np.ndarray = SPACE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Start, end and text number of every maximal run of bytes that `gap` does not mark; by default [^\\x20\\x09-\\x0D]+."""
     n = len(data)
     if not n:
         z = np.zeros(0, np.int64)
         return z, z, z
-    inside = ~SPACE[data]
+    inside = ~gap[data]
     first = np.zeros(n + 1, bool)
     first[offsets] = True
     begin = inside.copy()
@@ -168,10 +170,10 @@ def word_bounds(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.n
     return start, end, np.searchsorted(offsets, start, side="right") - 1
 
 
-def word_hashes(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def word_hashes(data: np.ndarray, offsets: np.ndarray, gap: np.ndarray = SPACE) -> tuple[np.ndarray, np.ndarray]:
     """64-bit hash (A-Z lower-cased) and text number of every word."""
     low = LOWER[data]
-    start, end, owner = word_bounds(low, offsets)
+    start, end, owner = word_bounds(low, offsets, gap)
     return span_hashes(prefix_sums(low), start, end), owner
 
 

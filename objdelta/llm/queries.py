@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
-from . import line_dedup, url_filter
+from . import decontaminate, line_dedup, packing, quality, toxicity, url_filter
 
 QUERIES = {
     "op1_url_filter": url_filter.query,
+    "op2_decontamination": decontaminate.query,
+    "op4_toxicity": toxicity.query,
     "op7_line_dedup": line_dedup.query,
+    "op8_packing": packing.query,
+    "op10_quality": quality.query,
     "llm_url_rules": url_filter.rules_query,
 }
 ORACLES = {
