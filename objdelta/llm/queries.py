@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontaminate, line_dedup, packing, quality, toxicity, url_filter
+from . import decontaminate, line_dedup, packing, quality, suffix_dedup, toxicity, url_filter
 
 QUERIES = {
     "op1_url_filter": url_filter.query,
@@ -10,6 +10,7 @@ QUERIES = {
     "op4_toxicity": toxicity.query,
     "op7_line_dedup": line_dedup.query,
     "op8_packing": packing.query,
+    "op9_suffix_dedup": suffix_dedup.query,
     "op10_quality": quality.query,
     "llm_url_rules": url_filter.rules_query,
 }
