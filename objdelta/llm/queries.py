@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import decontaminate, jaccard_join, line_dedup, packing, pivot_index, quality, suffix_dedup, toxicity, url_filter
+from . import decontaminate, jaccard_join, line_dedup, packing, pitman_yor, pivot_index, quality, suffix_dedup, toxicity, url_filter
 
 QUERIES = {
     "op1_url_filter": url_filter.query,
     "op2_decontamination": decontaminate.query,
     "op3_pivot_index": pivot_index.query,
     "op4_toxicity": toxicity.query,
+    "op5_pitman_yor": pitman_yor.query,
     "op6_jaccard_join": jaccard_join.query,
     "op7_line_dedup": line_dedup.query,
     "op8_packing": packing.query,
