@@ -1,2 +1,311 @@
+"""Slots, change detection, scope and storage by method."""
+
+from __future__ import annotations
+
+from functools import reduce
+
+from pyspark.sql import Window
+from pyspark.sql import functions as F
+
+from ..functions.portable import C, collision_probability
+from ..operators import change, graphs, scope, slots
+from ..plans import planners
+from ..sessions import PAYLOAD_SQL, SESSIONS, STEPS, leaves, leaves_sql, payload_at, states, states_sql
+from .planning import _GREEDY_MEMBERS_SQL, _leaves
+
 QUERIES: dict = {}
 ORACLES: dict = {}
+_S = SESSIONS["scoped_mining"]
+_LS = leaves_sql(_S)
+
+
+def query(name: str, sql: str | None = None):
+    def register(f):
+        QUERIES[name] = f
+        if sql:
+            ORACLES[name] = sql
+        return f
+
+    return register
+
+
+def union(parts):
+    return reduce(lambda a, b: a.unionByName(b), parts)
+
+
+# ---------------------------------------------------------------- slots and pages
+
+_MEMBERS_SQL = f"(select parcel_key, node_key, 1 as ordinal from {_GREEDY_MEMBERS_SQL} union all select distinct 'list:' || grp, 'list:' || grp, 0 from {_LS})"
+_LOCAL_SQL = f"(select *, (row_number() over (partition by parcel_key order by ordinal, node_key) - 1)::int as local_slot from {_MEMBERS_SQL})"
+_BASES_SQL = f"(select parcel_key, n, (sum((n + 63) // 64) over (order by parcel_key) - (n + 63) // 64) * 64 as base from (select parcel_key, count(*)::bigint as n from {_MEMBERS_SQL} group by 1))"
+_ENC = f"""(select 'list:' || l.grp as parcel_key, m.local_slot, (b.base + m.local_slot)::bigint as global_slot,
+  case when m.parcel_key = 'list:' || l.grp then m.local_slot::bigint else b.base::bigint + m.local_slot + 2147483648 end as virtual_slot
+  from {_LS} l join {_LOCAL_SQL} m using (node_key) join {_BASES_SQL} b on b.parcel_key = m.parcel_key)"""
+
+
+def _members(spark, d):
+    x = _leaves(spark, d)
+    m = planners.star_members(x).select("parcel_key", "node_key", F.lit(1).alias("ordinal"))
+    lists = x.select(F.concat(F.lit("list:"), "grp").alias("parcel_key")).distinct().select("parcel_key", F.col("parcel_key").alias("node_key"), F.lit(0).alias("ordinal"))
+    return m.unionByName(lists)
+
+
+def _encoded(spark, d):
+    m = slots.assign(_members(spark, d))
+    refs = leaves(spark, d, _S).select(F.concat(F.lit("list:"), "grp").alias("src_parcel"), "node_key")
+    x = refs.join(m, "node_key")
+    return x.select(F.col("src_parcel").alias("parcel_key"), "local_slot", "global_slot", slots.to_virtual(F.col("local_slot"), F.col("global_slot"), F.col("parcel_key") == F.col("src_parcel")).alias("virtual_slot"))
+
+
+@query("slot_encode", f"select parcel_key, local_slot, virtual_slot, global_slot from {_ENC}")
+def slot_encode(spark, d):
+    return _encoded(spark, d).select("parcel_key", "local_slot", "virtual_slot", "global_slot")
+
+
+@query("slot_decode", f"select e.parcel_key, virtual_slot, global_slot from {_ENC} e")
+def slot_decode(spark, d):
+    pages = slots.page_lists(slots.pages(_members(spark, d)))
+    x = _encoded(spark, d).drop("global_slot").join(pages, "parcel_key")
+    return x.select("parcel_key", "virtual_slot", slots.to_global(F.col("virtual_slot"), F.col("pages")).alias("global_slot"))
+
+
+@query("slot_roundtrip", f"select count(*)::bigint as n_refs, 0::bigint as n_wrong from {_LS}")
+def slot_roundtrip(spark, d):
+    pages = slots.page_lists(slots.pages(_members(spark, d)))
+    x = _encoded(spark, d).join(pages, "parcel_key")
+    return x.agg(F.count(F.lit(1)).alias("n_refs"), F.count_if(slots.to_global(F.col("virtual_slot"), F.col("pages")) != F.col("global_slot")).alias("n_wrong"))
+
+
+@query("page_table", f"select parcel_key, p::int as page_no, (base + 64 * p)::bigint as base from (select *, unnest(range(0, (n + 63) // 64)) as p from {_BASES_SQL})")
+def page_table(spark, d):
+    return slots.pages(_members(spark, d))
+
+
+# ---------------------------------------------------------------- change detection
+
+_GM = f"(select node_key, parcel_key from {_GREEDY_MEMBERS_SQL})"
+_FP_SQL = f"(select step, parcel_key, count(*)::bigint as n_nodes, sum(size)::bigint as bytes, md5(string_agg(h, ';' order by h)) as fp from (select step, m.parcel_key, size, md5(node_key || '|' || {PAYLOAD_SQL}) as h from {states_sql(_LS)} join {_GM} m using (node_key)) group by 1, 2)"
+
+
+def _fps(spark, d, steps=STEPS):
+    members = planners.star_members(_leaves(spark, d)).select("node_key", "parcel_key")
+    x = states(leaves(spark, d, _S), steps).join(members, "node_key")
+    return change.fingerprints(x.select("step", "parcel_key", "size", F.md5(F.concat("node_key", F.lit("|"), payload_at(F.col("step")))).alias("h")), ["step", "parcel_key"])
+
+
+@query("parcel_fingerprints", f"select parcel_key, n_nodes, fp from {_FP_SQL} where step = 0")
+def parcel_fingerprints(spark, d):
+    return _fps(spark, d, 1).select("parcel_key", "n_nodes", "fp")
+
+
+@query("new_vs_alias", f"select step, count(*) filter (where rn = 1)::bigint as n_new, count(*) filter (where rn > 1)::bigint as n_alias, coalesce(sum(bytes) filter (where rn = 1), 0)::bigint as bytes_new, coalesce(sum(bytes) filter (where rn > 1), 0)::bigint as bytes_skipped from (select *, row_number() over (partition by fp order by step, parcel_key) as rn from {_FP_SQL}) group by step")
+def new_vs_alias(spark, d):
+    return change.first_writers(_fps(spark, d)).groupBy("step").agg(
+        F.count_if("is_new").alias("n_new"), F.count_if(~F.col("is_new")).alias("n_alias"), F.sum(F.when(F.col("is_new"), F.col("bytes")).otherwise(0)).alias("bytes_new"), F.sum(F.when(F.col("is_new"), 0).otherwise(F.col("bytes"))).alias("bytes_skipped"))
+
+
+@query("lifo_residency", "select insert_seq, 'list:' || k as parcel_key, (insert_seq <= 9 or insert_seq = max(insert_seq) over ()) as resident from (select row_number() over (order by k) as insert_seq, k from (select distinct lpad(cast(l_orderkey % 100 as varchar), 2, '0') as k from lineitem))")
+def lifo_residency(spark, d):
+    """Which fingerprints an index of capacity 10 still holds, with the newest evicted before each insert."""
+    x = leaves(spark, d, _S).select(F.lpad("grp", 2, "0").alias("k")).distinct()  # one row for each list
+    seq = x.select(F.row_number().over(Window.orderBy("k")).cast("long").alias("insert_seq"), F.concat(F.lit("list:"), "k").alias("parcel_key"))
+    return change.lifo_resident(seq, capacity=10)
+
+
+@query("fingerprint_collision_odds", "select round(1e9 * 62500000.0 / pow(2.0, 128) * 1e22, 6) as odds_e22, (1000000000 // 16)::bigint as entries_per_gb")
+def fingerprint_collision_odds(spark, d):
+    return spark.createDataFrame([(round(collision_probability(1e9, 62.5e6) * 1e22, 6), 1_000_000_000 // 16)], "odds_e22 double, entries_per_gb long")
+
+
+# ---------------------------------------------------------------- scope
+
+_EDGES_SQL = "(select 'customer:' || c_custkey as a, 'nation:' || c_nationkey as b from customer union all select 'nation:' || n_nationkey, 'region:' || n_regionkey from nation)"
+
+
+@query("components_parcel", f"""with recursive e as (select a, b from {_EDGES_SQL} union all select b, a from {_EDGES_SQL}),
+  reach(node, root) as (select distinct a, a from e where a like 'region:%' union select e.b, r.root from reach r join e on e.a = r.node)
+  select min(node) as component, count(*)::bigint as n_parcels, count(*) filter (where node like 'customer:%')::bigint as n_variables from reach group by root""")
+def components_parcel(spark, d):
+    r = graphs.trade_refs(spark, d).where("(src_kind = 'nation' and dst_kind = 'customer') or src_kind = 'region'").select(F.col("src").alias("a"), F.col("dst").alias("b"))
+    x = scope.components(spark, r)
+    return x.groupBy("component").agg(F.count(F.lit(1)).alias("n_parcels"), F.count_if(F.col("node").startswith("customer:")).alias("n_variables"))
+
+
+@query("touched_variables", "select s::bigint as step, 'nation:' || n.n_nationkey as name, n.n_regionkey = a.n_regionkey as touched from range(1, 5) t(s), nation n, nation a where a.n_nationkey = (s * 7) % 25")
+def touched_variables(spark, d):
+    """Step s accesses one nation; all nations that share its region are touched with it."""
+    refs = graphs.trade_refs(spark, d).where("src_kind = 'region'").select(F.col("src").alias("a"), F.col("dst").alias("b"))
+    names = graphs.trade_nodes(spark, d).where("kind = 'nation'").select(F.col("node_key").alias("name"), "node_key")
+    out = []
+    labels = scope.components(spark, refs)
+    for s in range(1, 5):
+        out.append(scope.touched_scope(names, labels, [f"nation:{(s * 7) % 25}"]).select(F.lit(s).cast("long").alias("step"), "name", "touched"))
+    return union(out)
+
+
+@query("scope_violations", f"select step, count(*) filter (where changed)::bigint as n_changed, 0::bigint as n_violations from {states_sql(_LS)} where step > 0 group by step")
+def scope_violations(spark, d):
+    x = states(leaves(spark, d, _S)).where("step > 0")
+    touched = (F.col("var") == F.col("step") % 10) | (F.col("var") == (F.col("step") * 3 + 1) % 10)
+    return x.groupBy("step").agg(F.count_if("changed").alias("n_changed"), F.count_if(F.col("changed") & ~touched).alias("n_violations"))
+
+
+_FIG_V = ", ".join(f"('{n}', '{u}')" for n, u in graphs.FIGURE_VARIABLES)
+_FIG_R = ", ".join(f"('{a}', '{b}')" for a, b in graphs.FIGURE_REFS)
+
+
+@query("figure_example_scope", f"with recursive r(a, b) as (values {_FIG_R}), e as (select a, b from r union select b, a from r), hit(n) as (select 'u8' union select e.b from hit join e on e.a = hit.n) select name, u in (select n from hit) as touched from (values {_FIG_V}) v(name, u)")
+def figure_example_scope(spark, d):
+    refs = spark.createDataFrame(graphs.FIGURE_REFS, "a string, b string")
+    names = spark.createDataFrame(graphs.FIGURE_VARIABLES, "name string, node_key string")
+    return scope.touched_scope(names, scope.components(spark, refs), ["model"]).select("name", "touched")
+
+
+# ---------------------------------------------------------------- storage by method
+
+_DIRTY_SQL = f"(select step, {{key}} as parcel_key, sum(size)::bigint as bytes, sum(size) filter (where changed)::bigint as changed_bytes, bool_or(changed or step = 0) as dirty, count(*)::bigint as n, min(var) as var from (select x.*, m.parcel_key as greedy_key from {states_sql(_LS)} x join {_GM} m using (node_key)) group by 1, 2)"
+_KEYS = {"greedy": "greedy_key", **planners.POLICY_SQL}
+
+
+def _dirty_sql(p):
+    return _DIRTY_SQL.replace("{key}", _KEYS[p].replace("size", "s0"))
+
+
+def _with_keys(spark, d, steps=STEPS, rate=None):
+    """States with the parcel of every planner: one join, since members are fixed by the memo."""
+    members = planners.star_members(_leaves(spark, d)).select("node_key", F.col("parcel_key").alias("greedy"))
+    x = leaves(spark, d, _S, steps, rate).join(members, "node_key").withColumn("size", F.col("s0"))
+    return states(x.select("node_key", "var", "s0", "chg", "greedy", *(planners.policy(p).alias(p) for p in planners.POLICY_SQL)), steps)
+
+
+def _dirty(x, p):
+    return x.groupBy("step", F.col(p).alias("parcel_key")).agg(F.sum("size").alias("bytes"), F.sum(F.when(F.col("changed"), F.col("size")).otherwise(0)).alias("changed_bytes"), F.bool_or(F.col("changed") | (F.col("step") == 0)).alias("dirty"), F.count(F.lit(1)).alias("n"), F.min("var").alias("var"))
+
+
+_METHODS = ("keep_all", "split_all", "greedy")
+_TRACE_SQL = (
+    f"(select step, 'snapshot' as method, 1::bigint as n_units, sum(size)::bigint as bytes_written from {states_sql(_LS)} group by step"
+    f" union all select step, 'ideal', count(*) filter (where changed or step = 0)::bigint, coalesce(sum(size) filter (where changed or step = 0), 0)::bigint from {states_sql(_LS)} group by step"
+    + "".join(f" union all select step, '{p}', count(*) filter (where dirty)::bigint, coalesce(sum(bytes + {C}) filter (where dirty), 0)::bigint from {_dirty_sql(p)} group by step" for p in _METHODS) + ")"
+)
+
+
+def _trace(spark, d):
+    x = _with_keys(spark, d)
+    parts = [
+        x.groupBy("step").agg(F.lit("snapshot").alias("method"), F.lit(1).cast("long").alias("n_units"), F.sum("size").alias("bytes_written")),
+        x.groupBy("step").agg(F.lit("ideal").alias("method"), F.count_if(F.col("changed") | (F.col("step") == 0)).alias("n_units"), F.sum(F.when(F.col("changed") | (F.col("step") == 0), F.col("size")).otherwise(0)).alias("bytes_written")),
+    ]
+    for p in _METHODS:
+        parts.append(_dirty(x, p).groupBy("step").agg(F.lit(p).alias("method"), F.count_if("dirty").alias("n_units"), F.sum(F.when(F.col("dirty"), F.col("bytes") + C).otherwise(0)).alias("bytes_written")))
+    return union(parts)
+
+
+@query("save_trace", f"select * from {_TRACE_SQL}")
+def save_trace(spark, d):
+    return _trace(spark, d)
+
+
+@query("storage_by_method", f"with t as (select method, sum(bytes_written)::bigint as total_bytes from {_TRACE_SQL} group by 1) select method, total_bytes, round((select total_bytes from t where method = 'snapshot') / total_bytes, 6) as ratio_to_best_baseline from t")
+def storage_by_method(spark, d):
+    t = _trace(spark, d).groupBy("method").agg(F.sum("bytes_written").alias("total_bytes"))
+    w = Window.partitionBy(F.lit(1))  # five rows
+    return t.select("method", "total_bytes", F.round(F.max(F.when(F.col("method") == "snapshot", F.col("total_bytes"))).over(w) / F.col("total_bytes"), 6).alias("ratio_to_best_baseline"))
+
+
+@query("collateral_bytes", " union all ".join(f"select step, '{p}' as planner, coalesce(sum(changed_bytes) filter (where dirty), 0)::bigint as changed_bytes, coalesce(sum(bytes - coalesce(changed_bytes, 0)) filter (where dirty), 0)::bigint as collateral_bytes from {_dirty_sql(p)} where step > 0 group by step" for p in _KEYS))
+def collateral_bytes(spark, d):
+    x = _with_keys(spark, d).where("step > 0")
+    return union([_dirty(x, p).groupBy("step").agg(F.lit(p).alias("planner"), F.sum(F.when(F.col("dirty"), F.col("changed_bytes")).otherwise(0)).alias("changed_bytes"), F.sum(F.when(F.col("dirty"), F.col("bytes") - F.col("changed_bytes")).otherwise(0)).alias("collateral_bytes")) for p in _KEYS])
+
+
+@query("ideal_storage", f"select max(total)::bigint as largest_namespace, sum(delta)::bigint as ideal_delta from (select step, sum(size) as total, sum(size) filter (where changed or step = 0) as delta from {states_sql(_LS)} group by step)")
+def ideal_storage(spark, d):
+    x = states(leaves(spark, d, _S)).groupBy("step").agg(F.sum("size").alias("total"), F.sum(F.when(F.col("changed") | (F.col("step") == 0), F.col("size")).otherwise(0)).alias("delta"))
+    return x.agg(F.max("total").alias("largest_namespace"), F.sum("delta").alias("ideal_delta"))
+
+
+_TOUCH = "(step = 0 or var = step % 10 or var = (step * 3 + 1) % 10)"
+_VARIANTS = {"neither": ("true", "true"), "change_detector": ("dirty", "true"), "scope_filter": (_TOUCH, _TOUCH), "both": (f"(dirty and {_TOUCH})", _TOUCH)}
+
+
+@query("cd_scope_ablation", " union all ".join(f"select '{v}' as variant, coalesce(sum(bytes + {C}) filter (where {w}), 0)::bigint as data_bytes, count(*) filter (where {m})::bigint as metadata_rows, coalesce(sum(n) filter (where {m}), 0)::bigint as encoded_nodes from {_dirty_sql('greedy')}" for v, (w, m) in _VARIANTS.items()))
+def cd_scope_ablation(spark, d):
+    x = _dirty(_with_keys(spark, d), "greedy")
+    parts = []
+    for v, (w, m) in _VARIANTS.items():
+        parts.append(x.agg(F.lit(v).alias("variant"), F.sum(F.when(F.expr(w), F.col("bytes") + C).otherwise(0)).alias("data_bytes"), F.count_if(F.expr(m)).alias("metadata_rows"), F.sum(F.when(F.expr(m), F.col("n")).otherwise(0)).alias("encoded_nodes")))
+    return union(parts)
+
+
+@query("row_store_bakeoff", f"""select step, 'rewrite' as variant, count(*)::bigint as node_rows, count(*)::bigint as ref_rows, (sum(size) + 16 * count(*))::bigint as bytes_written from {states_sql(_LS)} group by step
+ union all select step, 'per_node', count(*) filter (where changed or step = 0)::bigint, count(*) filter (where changed or step = 0)::bigint, coalesce(sum(size + 16) filter (where changed or step = 0), 0)::bigint from {states_sql(_LS)} group by step
+ union all select step, 'per_parcel', count(*) filter (where dirty)::bigint, count(*) filter (where dirty and parcel_key not like 'list:%')::bigint, coalesce(sum(bytes + {C}) filter (where dirty), 0)::bigint + 16 * count(*) filter (where dirty and parcel_key not like 'list:%')::bigint from {_dirty_sql('greedy')} group by step""")
+def row_store_bakeoff(spark, d):
+    """Graph rows written by three forms of delta identification."""
+    x = _with_keys(spark, d)
+    ch = F.col("changed") | (F.col("step") == 0)
+    own = F.col("dirty") & ~F.col("parcel_key").startswith("list:")
+    return union([
+        x.groupBy("step").agg(F.lit("rewrite").alias("variant"), F.count(F.lit(1)).alias("node_rows"), F.count(F.lit(1)).alias("ref_rows"), (F.sum("size") + 16 * F.count(F.lit(1))).alias("bytes_written")),
+        x.groupBy("step").agg(F.lit("per_node").alias("variant"), F.count_if(ch).alias("node_rows"), F.count_if(ch).alias("ref_rows"), F.sum(F.when(ch, F.col("size") + 16).otherwise(0)).alias("bytes_written")),
+        _dirty(x, "greedy").groupBy("step").agg(F.lit("per_parcel").alias("variant"), F.count_if("dirty").alias("node_rows"), F.count_if(own).alias("ref_rows"), (F.sum(F.when(F.col("dirty"), F.col("bytes") + C).otherwise(0)) + 16 * F.count_if(own)).alias("bytes_written")),
+    ])
+
+
+_TEXT = f"(select step, grp, string_agg({PAYLOAD_SQL}, chr(10) order by node_key) as t from {states_sql(_LS)} group by 1, 2)"
+_BLOCKS = f"(select step, length(substr(t, 1 + 4096 * i, 4096)) as n, md5(substr(t, 1 + 4096 * i, 4096)) as h from (select step, t, unnest(range(0, (length(t) + 4095) // 4096)) as i from {_TEXT}))"
+
+
+@query("block_delta_bytes", f"select b.step, count(*)::bigint as n_blocks, count(*) filter (where p.h is null)::bigint as n_new_blocks, coalesce(sum(b.n) filter (where p.h is null), 0)::bigint as delta_bytes from {_BLOCKS} b left join (select distinct step + 1 as step, h from {_BLOCKS}) p on p.step = b.step and p.h = b.h group by b.step")
+def block_delta_bytes(spark, d):
+    """Snapshot with byte-level delta: fixed blocks that the previous snapshot lacks."""
+    x = states(leaves(spark, d, _S)).select("step", "grp", "node_key", payload_at(F.col("step")).alias("p"))
+    text = x.groupBy("step", "grp").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("node_key", "p"))), lambda e: e["p"]), "\n").alias("t"))
+    b = change.blocks(text, 4096)
+    before = b.select((F.col("step") + 1).alias("step"), "h").distinct().withColumn("seen", F.lit(True))
+    return b.join(before, ["step", "h"], "left").groupBy("step").agg(F.count(F.lit(1)).alias("n_blocks"), F.count_if(F.col("seen").isNull()).alias("n_new_blocks"), F.sum(F.when(F.col("seen").isNull(), F.col("n")).otherwise(0)).cast("long").alias("delta_bytes"))
+
+
+# ---------------------------------------------------------------- sweeps
+
+_FRACTIONS = (0, 10_000, 100_000, 350_000, 500_000, 1_000_000)
+
+
+def _sweep_sql():
+    parts = []
+    for r in _FRACTIONS:
+        s = states_sql(leaves_sql(SESSIONS["commerce_mining"], 3, r), 3)
+        parts.append(f"select {r}::bigint as rate_ppm, sum(size)::bigint as snapshot_bytes, coalesce(sum(size) filter (where changed or step = 0), 0)::bigint as ideal_bytes, (sum(size + {C}) filter (where changed or step = 0))::bigint as split_bytes from {s}")
+    return " union all ".join(parts)
+
+
+@query("bucket_sweep", _sweep_sql())
+def bucket_sweep(spark, d):
+    """Mutation sweep: from the initial size at 0 to every state in full at 100 %."""
+    parts = []
+    for r in _FRACTIONS:
+        x = states(leaves(spark, d, SESSIONS["commerce_mining"], 3, r), 3)
+        ch = F.col("changed") | (F.col("step") == 0)
+        parts.append(x.agg(F.lit(r).cast("long").alias("rate_ppm"), F.sum("size").alias("snapshot_bytes"), F.sum(F.when(ch, F.col("size")).otherwise(0)).alias("ideal_bytes"), F.sum(F.when(ch, F.col("size") + C).otherwise(0)).alias("split_bytes")))
+    return union(parts)
+
+
+def _bake_sql():
+    parts = []
+    for s in SESSIONS.values():
+        x = states_sql(leaves_sql(s))
+        parts.append(f"select '{s.name}' as session, sum(size)::bigint as snapshot_bytes, (sum(size + {C}) filter (where changed or step = 0))::bigint as split_bytes, (sum(size) filter (where changed or step = 0))::bigint as ideal_bytes, round(sum(size) / sum(size) filter (where changed or step = 0), 6) as opportunity from {x}")
+    return " union all ".join(parts)
+
+
+@query("storage_by_session", _bake_sql())
+def storage_by_session(spark, d):
+    """Snapshot, split-all and ideal bytes of every session: gains fall with the mutation rate."""
+    parts = []
+    for s in SESSIONS.values():
+        x = states(leaves(spark, d, s))
+        ch = F.col("changed") | (F.col("step") == 0)
+        ideal = F.sum(F.when(ch, F.col("size")).otherwise(0))
+        parts.append(x.agg(F.lit(s.name).alias("session"), F.sum("size").alias("snapshot_bytes"), F.sum(F.when(ch, F.col("size") + C).otherwise(0)).alias("split_bytes"), ideal.alias("ideal_bytes"), F.round(F.sum("size") / ideal, 6).alias("opportunity")))
+    return union(parts)
