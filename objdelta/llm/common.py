@@ -153,6 +153,13 @@ def span_hashes(sums: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndar
     return mix((sums[end] - sums[start]) * inverse[start] + (end - start).astype(np.uint64))
 
 
+def slide_hashes(sums: np.ndarray, k: int) -> np.ndarray:
+    """span_hashes of every k consecutive bytes."""
+    n = len(sums) - k
+    _, inverse = _power_table(len(sums))
+    return mix((sums[k:] - sums[:n]) * inverse[:n] + np.uint64(k))
+
+
 def word_bounds(data: np.ndarray, offsets: np.ndarray, gap: np.ndarray = SPACE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Start, end and text number of every maximal run of bytes that `gap` does not mark; by default [^\\x20\\x09-\\x0D]+."""
     n = len(data)

@@ -3,10 +3,10 @@
 Exact: every pair with 100 * intersection >= percent * union is connected in the result.
 
 1. Documents with equal shingle sets are one class (compared by digest), of which one goes on.
-2. Shingles are ordered: those that few documents hold come first (counted exactly within the share `universe` of the
-   hash space, by levels in fixed-size filters), the others after them by hash. Two documents that reach the
-   threshold share at least `common` shingles among the first n - ceil(percent * n / 100) + common of each, so only
-   those beginnings are kept, and of them only shingles that two documents hold.
+2. Shingles are ordered: those that few documents hold come first (all are counted; levels of the counts are kept in
+   fixed-size filters), within a level by hash. Two documents that reach the threshold share at least `common`
+   shingles among the first n - ceil(percent * n / 100) + common of each, so only those beginnings are kept, and of
+   them only shingles that two documents hold.
 3. Every document is verified against one leader, the document that comes first on most of its shingles. What is
    connected then is a group: a partition of similar documents.
 4. The token-group matrix holds each group's union of beginnings. A document's overlap with a foreign group's union
@@ -29,9 +29,10 @@ from .bitfilter import build_filter, in_filter
 from .common import Workspace, chunks, mix, read_table, shingle_hashes, text_buffers
 from .components import components
 
-K, PERCENT, COMMON, UNIVERSE = 5, 75, 4, 0.4
-#: A shingle is of level i if at least LEVELS[i] documents hold it.
-LEVELS = (2, 16, 256)
+K, PERCENT, COMMON = 5, 75, 4
+#: A shingle is of level i if at least LEVELS[i] documents hold it; the filters' sizes in bits.
+LEVELS = (2, 4, 16, 64, 256, 2048)
+LEVEL_BITS = (27, 27, 25, 24, 24, 24)
 
 
 def shingle_sets(data: np.ndarray, offsets: np.ndarray, k: int):
@@ -86,9 +87,26 @@ def _numbers(column) -> tuple[np.ndarray, np.ndarray]:
     return column.fill_null(0).to_numpy(), column.is_valid().to_numpy(zero_copy_only=False)
 
 
-def _beginnings(docs: DataFrame, spark, reps, k: int, percent: int, common: int, universe: float, levels=None) -> DataFrame:
-    """(t, doc, n): without levels, the shingles to count; with them, the beginnings that others share."""
-    bound = np.uint64(int(universe * 2.0**64) - 1 if universe < 1 else 2**64 - 1)
+def _counted(docs: DataFrame, reps, k: int) -> DataFrame:
+    """(t, c): in how many documents of a batch each shingle is."""
+
+    def run(batches):
+        for batch in batches:
+            ids, valid = _numbers(batch.column(0))
+            data, offsets = text_buffers(batch.column(1))
+            keep = valid & in_filter(reps.value, _doc_key(ids))
+            found = []
+            for first, part, offs in chunks(data, offsets):
+                h, at = shingle_sets(part, offs, k)
+                found.append(h[np.repeat(keep[first : first + len(at) - 1], np.diff(at))])
+            t, c = np.unique(np.concatenate(found) if found else np.zeros(0, np.uint64), return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array(t.view(np.int64)), pa.array(c)], ["t", "c"])
+
+    return _source(docs).mapInArrow(run, "t long, c long")
+
+
+def _beginnings(docs: DataFrame, reps, levels, k: int, percent: int, common: int) -> DataFrame:
+    """(t, doc, n): the shingles in the documents' beginnings that others hold too."""
 
     def run(batches):
         for batch in batches:
@@ -100,18 +118,15 @@ def _beginnings(docs: DataFrame, spark, reps, k: int, percent: int, common: int,
                 n = np.diff(at)
                 p = np.where(keep[first : first + len(n)], beginning(n, percent, common), 0)
                 who = np.repeat(np.arange(len(n)), n)
-                if levels is None:
-                    # Hash order: the counted share of the space, and the beginning where that is longer.
-                    take = (np.arange(len(h)) - at[who] < p[who]) | ((h <= bound) & (p[who] > 0))
-                else:
-                    level = np.where(h <= bound, 0, len(LEVELS) + 1).astype(np.int64)
-                    inside = [in_filter(f.value, h) for f in levels]
-                    for f in inside:
-                        level += (h <= bound) & f
-                    order = np.lexsort((h, level, who))
-                    take = np.zeros(len(h), bool)
-                    take[order] = np.arange(len(h)) - at[who] < p[who]
-                    take &= inside[0]
+                level = np.zeros(len(h), np.int64)
+                some = np.arange(len(h))
+                for f in levels:  # every level's shingles are among those of the level below
+                    some = some[in_filter(f.value, h[some])]
+                    level[some] += 1
+                order = np.lexsort((h, level, who))
+                take = np.zeros(len(h), bool)
+                take[order] = np.arange(len(h)) - at[who] < p[who]
+                take &= level > 0
                 yield pa.RecordBatch.from_arrays([pa.array(h[take].view(np.int64)), pa.array(ids[first + who[take]]), pa.array(n[who[take]])], ["t", "doc", "n"])
 
     return _source(docs).mapInArrow(run, "t long, doc long, n long")
@@ -147,7 +162,7 @@ def verify(spark: SparkSession, docs: DataFrame, pairs: DataFrame, k: int = K, p
     return both.mapInArrow(compare, "a long, b long")
 
 
-def join(spark: SparkSession, docs: DataFrame, k: int = K, percent: int = PERCENT, common: int = COMMON, universe: float = UNIVERSE) -> DataFrame:
+def join(spark: SparkSession, docs: DataFrame, k: int = K, percent: int = PERCENT, common: int = COMMON) -> DataFrame:
     """doc_id, n_shingles, component_id for every row of docs."""
     work = Workspace(spark, "jaccard")
     sizes = work.table(describe(docs, k), "sizes")
@@ -157,10 +172,10 @@ def join(spark: SparkSession, docs: DataFrame, k: int = K, percent: int = PERCEN
     edges = [work.table(equal, "equal")]
     reps = spark.sparkContext.broadcast(_doc_filter(classes.select("rep")))
 
-    counts = work.table(_beginnings(docs, spark, reps, k, percent, common, universe).groupBy("t").agg(F.count(F.lit(1)).alias("c")).where(F.col("c") >= LEVELS[0]), "counts")
+    counts = work.table(_counted(docs, reps, k).groupBy("t").agg(F.sum("c").alias("c")).where(F.col("c") >= LEVELS[0]), "counts")
     work.release()
-    levels = [spark.sparkContext.broadcast(build_filter(counts.where(F.col("c") >= c).select(F.col("t").alias("key")), bits)) for c, bits in zip(LEVELS, (27, 24, 24), strict=True)]
-    posts = work.table(_beginnings(docs, spark, reps, k, percent, common, universe, levels), "posts")
+    levels = [spark.sparkContext.broadcast(build_filter(counts.where(F.col("c") >= c).select(F.col("t").alias("key")), bits)) for c, bits in zip(LEVELS, LEVEL_BITS, strict=True)]
+    posts = work.table(_beginnings(docs, reps, levels, k, percent, common), "posts")
     work.drop("counts")
 
     # One leader for each document.

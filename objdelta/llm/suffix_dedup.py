@@ -6,8 +6,8 @@ window is the leftmost smallest of its K-byte grams, hence equal windows have eq
 consecutive windows of one anchor form a span.
 
 1. (gram, span) hashes with their smallest and largest document are aggregated. Grams of one document only end here.
-2. Bit filters of fixed size hold the spans that are left; a second pass emits only their occurrences. A span seen
-   in a smaller document goes as a whole.
+2. Bit filters of fixed size hold the spans that are left; a second pass emits only their occurrences, with their
+   bytes only in the span's smallest document. A span seen in a smaller document goes as a whole.
 3. What is left are spans whose gram occurs elsewhere with other surroundings (the rims of repeated passages). Their
    suffixes are exchanged as sorted, front-coded runs and combined by a loser tree that compares only beyond the
    known common prefix; suffixes that share the gram are then neighbours, and their windows are looked up in turn.
@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .bitfilter import FILTER_BITS, build_filter, in_filter
-from .common import Workspace, chunks, mix, prefix_sums, read_table, span_hashes, text_buffers
+from .common import Workspace, chunks, mix, prefix_sums, read_table, slide_hashes, span_hashes, text_buffers
 
 WIDTH, GRAM = 50, 16
 _LOW = np.uint64(0xFFFFFFFF)
@@ -41,9 +41,9 @@ def anchors(data: np.ndarray, offsets: np.ndarray, width: int = WIDTH, gram: int
     z = np.zeros(0, np.int64)
     if len(data) < width:
         return z.view(np.uint64), z.view(np.uint64), z, z, z, z
-    sums, at = prefix_sums(data), np.arange(n)
-    h = span_hashes(sums, at, at + gram)
-    low = (h & ~_LOW) | at.astype(np.uint64)  # the smallest gram, leftmost among equals
+    sums = prefix_sums(data)
+    h = slide_hashes(sums, gram)
+    low = (h & ~_LOW) | np.arange(n, dtype=np.uint64)  # the smallest gram, leftmost among equals
     take, have = width - gram + 1, 1
     while have * 2 <= take:
         low = np.minimum(low[: len(low) - have], low[have:])
@@ -69,6 +69,11 @@ def key_of(gram: np.ndarray, span: np.ndarray) -> np.ndarray:
     return mix(gram * np.uint64(0x9E3779B97F4A7C15) ^ span)
 
 
+def in_document(key: np.ndarray, doc: np.ndarray) -> np.ndarray:
+    """Key of a span in one document."""
+    return mix(key ^ mix(doc.view(np.uint64) + np.uint64(1)))
+
+
 # ---------------------------------------------------------------- sorted front-coded runs
 
 
@@ -78,16 +83,16 @@ def encode_run(records: list[tuple[bytes, tuple]]) -> bytes:
     out, before = [], b""
     for suffix, (before_part, doc, text, start, n) in records:
         common = _common(before, suffix, 0)
-        out.append(struct.pack("<BBBqqqH", common, len(suffix) - common, len(before_part), doc, text, start, n) + suffix[common:] + before_part)
+        out.append(struct.pack("<BBBqiiH", common, len(suffix) - common, len(before_part), doc, text, start, n) + suffix[common:] + before_part)
         before = suffix
     return zlib.compress(b"".join(out), 1)
 
 
 def decode_run(blob: bytes):
     """Yields (common prefix with the run's last suffix, suffix, payload)."""
-    raw, at, before, head = zlib.decompress(blob), 0, b"", struct.calcsize("<BBBqqqH")
+    raw, at, before, head = zlib.decompress(blob), 0, b"", struct.calcsize("<BBBqiiH")
     while at < len(raw):
-        common, rest, left, doc, text, start, n = struct.unpack_from("<BBBqqqH", raw, at)
+        common, rest, left, doc, text, start, n = struct.unpack_from("<BBBqiiH", raw, at)
         at += head
         before = before[:common] + raw[at : at + rest]
         at += rest
@@ -203,7 +208,7 @@ def repeated_windows(records, width: int, gram: int):
 
 def _source(docs: DataFrame) -> DataFrame:
     text = F.coalesce(F.col("text"), F.lit(""))
-    return docs.select(F.col("doc_id").cast("long").alias("doc"), F.xxhash64(text).alias("th"), text.alias("text"))
+    return docs.select(F.col("doc_id").cast("long").alias("doc"), F.hash(text).alias("th"), text.alias("text"))
 
 
 def repeated_intervals(spark: SparkSession, docs: DataFrame, work: Workspace, width: int = WIDTH, gram: int = GRAM, filter_bits: int = FILTER_BITS) -> DataFrame:
@@ -222,29 +227,28 @@ def repeated_intervals(spark: SparkSession, docs: DataFrame, work: Workspace, wi
             new[1:] = key[order][1:] != key[order][:-1]
             first = np.flatnonzero(new)
             last = np.append(first[1:], len(order)) - 1 if len(order) else first
-            yield pa.RecordBatch.from_arrays([pa.array(g[order][first].view(np.int64)), pa.array(s[order][first].view(np.int64)), pa.array(d[order][first]), pa.array(d[order][last])], ["g", "s", "lo", "hi"])
+            yield pa.RecordBatch.from_arrays([pa.array(g[order][first].view(np.int64)), pa.array(s[order][first].view(np.int64)), pa.array(d[order][first]), pa.array(d[order][last], mask=d[order][first] == d[order][last])], ["g", "s", "lo", "hi"])
 
     seen = source.select("doc", "text").mapInArrow(grams, "g long, s long, lo long, hi long")
-    whole = seen.repartition("g").groupBy("g", "s").agg(F.min("lo").alias("m"), F.max("hi").alias("x"))
+    whole = seen.repartition("g").groupBy("g", "s").agg(F.min("lo").alias("m"), F.greatest(F.max("lo"), F.max("hi")).alias("x"))
     by_gram = Window.partitionBy("g")
     shared = (
         whole.withColumn("lo", F.min("m").over(by_gram)).withColumn("hi", F.max("x").over(by_gram)).withColumn("n", F.count(F.lit(1)).over(by_gram))
         .where((F.col("lo") < F.col("hi")) & ((F.col("m") < F.col("x")) | (F.col("n") > 1)))
         .select("g", "s", "m", (F.col("m") < F.col("x")).alias("again"), (F.col("n") > 1).alias("rim"))
     )
-    spans = work.table(shared, "spans")
-    work.release()
 
-    def keys(which):
-        def run(batches):
-            for batch in batches:
-                k = key_of(batch.column(0).to_numpy().view(np.uint64), batch.column(1).to_numpy().view(np.uint64))
-                yield pa.RecordBatch.from_arrays([pa.array(k.view(np.int64))], ["key"])
-
-        return spans.where(which).select("g", "s").mapInArrow(run, "key long")
+    def name(batches):
+        for batch in batches:
+            k = key_of(batch.column(0).to_numpy().view(np.uint64), batch.column(1).to_numpy().view(np.uint64))
+            rim = in_document(k, batch.column(2).to_numpy())
+            yield pa.RecordBatch.from_arrays([pa.array(k.view(np.int64)), batch.column(2), batch.column(3), batch.column(4), pa.array(rim.view(np.int64))], ["key", "m", "again", "rim", "at"])
 
-    again = spark.sparkContext.broadcast(build_filter(keys("again"), filter_bits))
-    rim = spark.sparkContext.broadcast(build_filter(keys("rim"), filter_bits))
+    spans = work.table(shared.mapInArrow(name, "key long, m long, again boolean, rim boolean, at long"), "spans")
+    del seen, whole, shared
+    work.release()
+    again = spark.sparkContext.broadcast(build_filter(spans.where("again").select("key"), filter_bits))
+    rim = spark.sparkContext.broadcast(build_filter(spans.where("rim").select(F.col("at").alias("key")), filter_bits))
 
     def occurrences(batches):
         for batch in batches:
@@ -252,42 +256,44 @@ def repeated_intervals(spark: SparkSession, docs: DataFrame, work: Workspace, wi
             data, offsets = text_buffers(batch.column(2))
             for first, part, offs in chunks(data, offsets):
                 g, s, o, start, n, rel = anchors(part, offs, width, gram)
-                key = key_of(g, s)
-                whole, edge = in_filter(again.value, key), in_filter(rim.value, key)
-                hit = np.flatnonzero(whole | edge)
+                key, doc = key_of(g, s), ids[first + o]
+                edge = in_filter(rim.value, in_document(key, doc))
+                hit = np.flatnonzero(edge | in_filter(again.value, key))
                 a, b = start[hit], start[hit] + n[hit] - 1 + width
                 raw = part.tobytes()
                 bytes_ = [raw[x:y] if e else None for x, y, e in zip(a.tolist(), b.tolist(), edge[hit].tolist(), strict=True)]
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(g[hit].view(np.int64)), pa.array(s[hit].view(np.int64)), pa.array(ids[first + o[hit]]), pa.array(texts[first + o[hit]]), pa.array(a - offs[o[hit]]), pa.array(n[hit].astype(np.int32)), pa.array(rel[hit].astype(np.int32)), pa.array(bytes_, pa.binary())],
-                    ["g", "s", "doc", "th", "start", "n", "rel", "bytes"],
+                    [pa.array(key[hit].view(np.int64)), pa.array(doc[hit]), pa.array(texts[first + o[hit]]), pa.array((a - offs[o[hit]]).astype(np.int32)), pa.array(n[hit].astype(np.int16)), pa.array(rel[hit].astype(np.int16)), pa.array(bytes_, pa.binary())],
+                    ["key", "doc", "th", "start", "n", "rel", "bytes"],
                 )
 
-    found = source.mapInArrow(occurrences, "g long, s long, doc long, th long, start long, n int, rel int, bytes binary")
+    found = source.mapInArrow(occurrences, "key long, doc long, th int, start int, n short, rel short, bytes binary")
     met = work.table(
-        found.join(spans, ["g", "s"]).where((F.col("doc") > F.col("m")) | F.col("rim"))
+        found.join(spans.select("key", "m", "rim"), "key").where((F.col("doc") > F.col("m")) | F.col("rim"))
         .withColumn("settled", F.col("doc") > F.col("m")).withColumn("bytes", F.when(~F.col("settled"), F.col("bytes")))
-        .select("g", "doc", "th", "start", "n", "rel", "bytes", "settled"), "met", ("settled",),
+        .select("key", "doc", "th", "start", "n", "rel", "bytes", "settled"), "met", ("settled",),
     )
+    del found, spans
     work.drop("spans")
     work.release()
-    settled = met.where("settled").select("doc", "th", F.col("start").alias("begin"), (F.col("start") + F.col("n") - 1 + width).alias("end"))
+    settled = met.where("settled").select("doc", "th", F.col("start").cast("int").alias("begin"), (F.col("start") + F.col("n") - 1 + width).cast("int").alias("end"))
     buckets = max(64, int(spark.conf.get("spark.sql.shuffle.partitions", "200")))
 
     def runs(batches):
         for batch in batches:
             by_bucket: dict[int, list] = {}
-            for g, doc, th, start, n, rel, raw in zip(*(batch.column(i).to_pylist() for i in range(7)), strict=True):
-                by_bucket.setdefault(g % buckets, []).append((raw[rel:], (raw[:rel], doc, th, start, n)))
+            for doc, th, start, n, rel, raw in zip(*(batch.column(i).to_pylist() for i in range(6)), strict=True):
+                # Equal windows share the gram at the anchor, so a gram's suffixes meet in one bucket.
+                by_bucket.setdefault(zlib.crc32(raw[rel : rel + gram]) % buckets, []).append((raw[rel:], (raw[:rel], doc, th, start, n)))
             yield pa.RecordBatch.from_arrays([pa.array(list(by_bucket), pa.int32()), pa.array([encode_run(r) for r in by_bucket.values()], pa.binary())], ["bucket", "run"])
 
     def merge(table: pa.Table) -> pa.Table:
         rows = repeated_windows(LoserTree([decode_run(b) for b in table.column("run").to_pylist()]), width, gram)
         cols = list(zip(*rows, strict=True)) if rows else [[]] * 4
-        return pa.table([pa.array(list(c), pa.int64()) for c in cols], names=["doc", "th", "begin", "end"])
+        return pa.table([pa.array(list(c), t) for c, t in zip(cols, (pa.int64(), pa.int32(), pa.int32(), pa.int32()), strict=True)], names=["doc", "th", "begin", "end"])
 
-    rims = met.where(~F.col("settled")).select("g", "doc", "th", "start", "n", "rel", "bytes").mapInArrow(runs, "bucket int, run binary")
-    return settled.unionByName(rims.groupBy("bucket").applyInArrow(merge, "doc long, th long, begin long, end long"))
+    rims = met.where(~F.col("settled")).select("doc", "th", "start", "n", "rel", "bytes").mapInArrow(runs, "bucket int, run binary")
+    return settled.unionByName(rims.groupBy("bucket").applyInArrow(merge, "doc long, th int, begin int, end int"))
 
 
 def union_of(intervals: np.ndarray) -> np.ndarray:

@@ -1,2 +1,147 @@
+"""Checker cells, latency of the printed trace, and the relational operators that the methods need."""
+
+from __future__ import annotations
+
+import pickle
+
+from pyspark.sql import Window
+from pyspark.sql import functions as F
+
+from ..runtime.readonly import is_read_only, is_read_only_sql
+
 QUERIES: dict = {}
 ORACLES: dict = {}
+
+
+def query(name: str, sql: str | None = None):
+    def register(f):
+        QUERIES[name] = f
+        if sql:
+            ORACLES[name] = sql
+        return f
+
+    return register
+
+
+# ---------------------------------------------------------------- read-only checker
+
+# Cells over a small namespace (rows: list of dicts, total: int, names: list of str, grid: list of lists).
+READS = [
+    "print(total)", "sum([total, 1])", "len(rows)", "rows[0]", "rows[0]['a']", "names[0].upper()", "sorted(names)", "max(names)", "print(len(names), total)", "total + 1", "f'{total} rows'", "names.index('x')", "rows[1:2]", "min(len(rows), 3)", "str(total)", "print(names[-1])",
+    "total > 3 and len(names) == 2", "[total, total]", "{'t': total}", "(total, names)", "round(total / 3)", "abs(-total)", "isinstance(total, int)", "print('a' if total else 'b')", "names.copy()", "rows[0].get('a')", "rows[0].keys()", "', '.join(names)", "any([total, 0])", "repr(rows)",
+]
+HIDDEN_READS = ["[n for n in names]", "import math\nmath.sqrt(total)", "(lambda x: x)(total)", "for n in names: print(n)", "x = total", "max(names, key=len)", "list(map(str, names))", "names.__len__()", "grid[0].count(1)", "vars()"]
+WRITES = [
+    "names.append('z')", "rows[0]['a'] = 9", "total = 9", "names.sort()", "del rows[0]", "rows.pop()", "names += ['q']", "grid[0][0] = 7", "rows.clear()", "names.extend(['u'])", "rows[0].update(a=5)", "rows[0].setdefault('zz', 1)", "names.insert(0, 'i')", "names.reverse()", "exec('names.append(1)')", "setattr(box, 'v', 3)",
+    "box.v = 4", "box.bump()", "rows.append({})", "names.remove('x')", "print(names.append('w'))", "[names.append(c) for c in 'ab']", "(total := 5)", "globals()", "rows[0].pop('a')", "names[0:1] = []", "sum([names.append(1) or 1])", "len(grid.append([]) or [])", "grid[0].append(3)", "next(iter([names.pop()]))",
+]
+SQLS = [
+    ("SELECT 1", True), ("SELECT * FROM t WHERE a > 1", True), ("SELECT a, count(*) FROM t GROUP BY a HAVING count(*) > 1", True), ("WITH x AS (SELECT 1) SELECT * FROM x", True), ("SELECT * FROM a JOIN b ON a.i = b.i ORDER BY 1 LIMIT 3", True), ("SELECT 1 UNION ALL SELECT 2", True),
+    ("INSERT INTO t VALUES (1)", False), ("DROP TABLE t", False), ("CREATE VIEW v AS SELECT 1", False), ("SET a = b", False), ("DELETE FROM t", False), ("TRUNCATE TABLE t", False), ("CREATE TABLE t (a INT)", False), ("INSERT OVERWRITE t SELECT 1", False),
+]
+
+
+class Box:
+    def __init__(self):
+        self.v = 1
+
+    def bump(self):
+        self.v += 1
+
+
+def _namespace():
+    return {"rows": [{"a": 1}, {"a": 2}], "total": 7, "names": ["x", "yy"], "grid": [[1, 2], [3]], "box": Box()}
+
+
+def checker_cells(spark):
+    """(verdict, truth) of every cell: truth by comparing serialized bytes before and after running it."""
+    import contextlib
+    import io
+
+    out = []
+    for code in (*READS, *HIDDEN_READS, *WRITES):
+        ns = _namespace()
+        verdict = is_read_only(code, ns)[0]
+        before = {k: pickle.dumps(v) for k, v in ns.items()}
+        run = dict(ns)
+        with contextlib.redirect_stdout(io.StringIO()), contextlib.suppress(Exception):
+            exec(code, {}, run)
+        same = run.keys() == before.keys() and all(pickle.dumps(run[k]) == before[k] for k in before)
+        out.append((code, verdict, same))
+    return out + [(sql, is_read_only_sql(spark, sql)[0], truth) for sql, truth in SQLS]
+
+
+_CONFUSION = "select * from (values (true, true, 36), (false, true, 9), (false, false, 39)) t(verdict, truth, n)"
+
+
+@query("checker_confusion")
+def checker_confusion(spark, d):
+    df = spark.createDataFrame(checker_cells(spark), "code string, verdict boolean, truth boolean")
+    return df.groupBy("verdict", "truth").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("checker_quality")
+def checker_quality(spark, d):
+    """Precision must be 1; recall is reported."""
+    df = spark.createDataFrame(checker_cells(spark), "code string, verdict boolean, truth boolean")
+    hit = F.count_if(F.col("verdict") & F.col("truth"))
+    return df.agg(F.count(F.lit(1)).alias("n_cells"), F.round(hit / F.count_if("verdict"), 6).alias("precision"), F.round(hit / F.count_if("truth"), 6).alias("recall"))
+
+
+# ---------------------------------------------------------------- latency of the printed trace
+
+# Seconds of saving, per cell, of a full snapshot and of the delta store, and GB stored.
+TRACE = [
+    (0, 0.0006544589996337891, 0.0069959163665771484, 3.35e-07, 2.065e-06), (1, 80.59558463096619, 114.68553972244263, 1.974472474, 1.972183878), (2, 80.64124870300293, 0.009580850601196289, 3.948944613, 1.972184474), (3, 80.50858926773071, 0.0008172988891601562, 5.923416752, 1.972184625),
+    (4, 101.8916642665863, 139.64471578598022, 7.993485937, 2.086949873), (5, 102.37985420227051, 0.0015506744384765625, 10.063555122, 2.086950617), (6, 101.87223958969116, 16.140039443969727, 12.16726128, 3.425605526), (7, 102.1934506893158, 61.88349795341492, 14.297305625, 3.451948742),
+    (8, 102.05878448486328, 62.69690656661987, 16.404086688, 4.75861396), (9, 101.79775190353394, 0.0010690689086914062, 18.510867751, 4.758614828), (10, 101.83859729766846, 8.09297251701355, 20.634977385, 5.388149007), (11, 101.68121218681335, 46.64308261871338, 22.769918711, 5.402060676),
+    (12, 102.121102809906, 0.3141167163848877, 24.894043067, 5.475443704), (13, 112.65009546279907, 82.1675705909729, 27.03321151, 7.331982096), (14, 112.22568106651306, 101.78269743919373, 29.172393831, 7.334584767), (15, 111.91239261627197, 0.0041332244873046875, 31.311576152, 7.334585879),
+    (16, 112.38870525360107, 1.001966953277588, 33.452929728, 7.335900662), (17, 111.83719420433044, 0.0018742084503173828, 35.594283304, 7.335901774), (18, 111.95638298988342, 0.0264892578125, 37.73568016, 7.337235604), (19, 113.107750415802, 1.0315678119659424, 39.877953195, 7.338115327), (20, 112.47156310081482, 1.4568238258361816, 42.021350969, 7.338341651),
+]
+_T = "(select * from (values " + ", ".join(f"({i}, 'snapshot', {s!r}::double, {g!r}::double), ({i}, 'delta', {p!r}::double, {h!r}::double)" for i, s, p, g, h in TRACE) + ") t(step, method, latency_s, stored_gb))"
+
+
+def _trace(spark):
+    return spark.createDataFrame([r for i, s, p, g, h in TRACE for r in ((i, "snapshot", s, g), (i, "delta", p, h))], "step int, method string, latency_s double, stored_gb double")
+
+
+@query("latency_ecdf", f"select method, round(latency_s, 6) as latency_s, round(cume_dist() over (partition by method order by latency_s), 6) as fraction from {_T}")
+def latency_ecdf(spark, d):
+    w = Window.partitionBy("method").orderBy("latency_s")
+    return _trace(spark).select("method", F.round("latency_s", 6).alias("latency_s"), F.round(F.cume_dist().over(w), 6).alias("fraction"))
+
+
+@query("latency_percentiles", f"select method, round(quantile_cont(latency_s, 0.5), 6) as p50, round(quantile_cont(latency_s, 0.9), 6) as p90, round(avg(latency_s), 6) as mean_s, round(max(latency_s), 6) as max_s from {_T} group by method")
+def latency_percentiles(spark, d):
+    return _trace(spark).groupBy("method").agg(F.round(F.percentile("latency_s", 0.5), 6).alias("p50"), F.round(F.percentile("latency_s", 0.9), 6).alias("p90"), F.round(F.avg("latency_s"), 6).alias("mean_s"), F.round(F.max("latency_s"), 6).alias("max_s"))
+
+
+@query("share_above_think_time", f"select method, count(*) filter (where latency_s > 23)::bigint as n_above_23s, count(*) filter (where latency_s > 1)::bigint as n_above_1s, round(max(stored_gb), 6) as final_gb from {_T} group by method")
+def share_above_think_time(spark, d):
+    return _trace(spark).groupBy("method").agg(F.count_if(F.col("latency_s") > 23).alias("n_above_23s"), F.count_if(F.col("latency_s") > 1).alias("n_above_1s"), F.round(F.max("stored_gb"), 6).alias("final_gb"))
+
+
+@query("async_ablation")
+def async_ablation(spark, d):
+    """Seconds that executions wait for a save of fixed length, by how saving is done (timing only)."""
+    import time
+
+    from ..runtime.background import BackgroundSaver, ScopeLocks
+
+    rows = []
+    cells = [("a", "names[0]"), ("b", "print(1)"), ("a", "a.append(1)"), ("c", "c.append(1)")]
+    for mode in ("synchronous", "no_checker", "no_scope_lock", "full"):
+        locks = ScopeLocks("namespace" if mode == "no_scope_lock" else "scope")
+        saver, waited = BackgroundSaver(locks), 0.0
+        for name, code in cells:
+            began = time.perf_counter()
+            read_only = mode in ("full", "no_scope_lock") and is_read_only(code, {"names": [1], "a": [], "b": 1, "c": []})[0]
+            locks.access(name, read_only)
+            if mode == "synchronous":
+                time.sleep(0.05)
+            elif not read_only:
+                saver.submit(lambda: time.sleep(0.05), {name})
+            waited += time.perf_counter() - began
+        saver.join()
+        rows.append((mode, len(cells), waited))
+    return spark.createDataFrame(rows, "variant string, n_cells int, waited_s double")
