@@ -10,28 +10,28 @@ from ..sessions import _LINE, _c, _ts
 from ..sources.tables import read_table
 
 # kind, table, key, payload columns (Spark), payload (SQL), references (column -> kind)
-_M = lambda c: cents(F.col(c))
+_M = lambda c: f"cast(round({c} * 100) as bigint)"
 _TRADE = [
     ("region", "region", "r_regionkey", ["r_name"], "r_name", {}),
     ("nation", "nation", "n_nationkey", ["n_name", "n_regionkey"], "concat_ws('|', n_name, n_regionkey)", {}),
     ("customer", "customer", "c_custkey", ["c_name", "c_nationkey", _M("c_acctbal"), "c_mktsegment"], f"concat_ws('|', c_name, c_nationkey, {_c('c_acctbal')}, c_mktsegment)", {}),
     ("supplier", "supplier", "s_suppkey", ["s_name", "s_nationkey", _M("s_acctbal")], f"concat_ws('|', s_name, s_nationkey, {_c('s_acctbal')})", {"s_nationkey": "nation"}),
     ("part", "part", "p_partkey", ["p_name", "p_brand", "p_type", "p_size", _M("p_retailprice")], f"concat_ws('|', p_name, p_brand, p_type, p_size, {_c('p_retailprice')})", {}),
-    ("order", "orders", "o_orderkey", ["o_custkey", "o_orderstatus", _M("o_totalprice"), stamp(F.col("o_orderdate")), "o_orderpriority"], f"concat_ws('|', o_custkey, o_orderstatus, {_c('o_totalprice')}, {_ts('o_orderdate')}, o_orderpriority)", {}),
+    ("order", "orders", "o_orderkey", ["o_custkey", "o_orderstatus", _M("o_totalprice"), "date_format(o_orderdate, 'yyyy-MM-dd HH:mm:ss.SSSSSS')", "o_orderpriority"], f"concat_ws('|', o_custkey, o_orderstatus, {_c('o_totalprice')}, {_ts('o_orderdate')}, o_orderpriority)", {}),
 ]
 # Containment goes from parent to child; shared references go from lines and suppliers.
 _CONTAINS = [("region", "nation", "nation", "n_regionkey", "n_nationkey"), ("nation", "customer", "customer", "c_nationkey", "c_custkey"), ("customer", "order", "orders", "o_custkey", "o_orderkey")]
 
 
 def line_payload():
-    return F.concat_ws("|", "l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", _M("l_quantity"), _M("l_extendedprice"), _M("l_discount"), _M("l_tax"), "l_returnflag", "l_linestatus", stamp(F.col("l_shipdate")))
+    return F.concat_ws("|", "l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", *(cents(F.col(c)) for c in ("l_quantity", "l_extendedprice", "l_discount", "l_tax")), "l_returnflag", "l_linestatus", stamp(F.col("l_shipdate")))
 
 
 def trade_nodes(spark: SparkSession, d: str) -> DataFrame:
     """(kind, node_key, payload, size) of the seven tables."""
     out = None
     for kind, table, key, cols, _, _ in _TRADE:
-        x = read_table(spark, d, table).select(F.lit(kind).alias("kind"), F.concat(F.lit(kind + ":"), key).alias("node_key"), F.concat_ws("|", *cols).alias("payload"))
+        x = read_table(spark, d, table).select(F.lit(kind).alias("kind"), F.concat(F.lit(kind + ":"), key).alias("node_key"), F.concat_ws("|", *map(F.expr, cols)).alias("payload"))
         out = x if out is None else out.unionByName(x)
     lines = read_table(spark, d, "lineitem").select(F.lit("line").alias("kind"), F.concat(F.lit("line:"), F.md5(line_payload())).alias("node_key"), line_payload().alias("payload"))
     return out.unionByName(lines).withColumn("size", (F.octet_length("payload") + NODE_BYTES).cast("long"))

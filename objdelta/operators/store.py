@@ -24,6 +24,7 @@ from .workspace import delete
 JSON_OPTIONS = {"timestampNTZFormat": "yyyy-MM-dd'T'HH:mm:ss.SSSSSS", "timestampFormat": "yyyy-MM-dd'T'HH:mm:ss.SSSSSSXXX"}
 #: Rows of one extent: the physical bound of a parcel, whatever the planner keeps together.
 EXTENT_ROWS = 50_000
+BLOBS = "fp string, parcel_key string, n_nodes long, raw_len int, sum long, blob binary, fp_prefix string"
 
 
 class MissingReference(Exception):
@@ -89,10 +90,10 @@ class Store:
             to_write, aliases = detect_changes(staged, empty)
         else:
             to_write, aliases = staged, staged.select("parcel_key", "fp", F.col("parcel_key").alias("alias_of"))
-        body = to_write.select("fp", "parcel_key", "n_nodes", "raw_len", "sum", (F.col("blob") if self.codec == "plain" else F.col("blob").cast("binary")).alias("blob"), F.substring("fp", 1, 1).alias("fp_prefix"))
-        body.write.option("compression", {"plain": "zstd", "lz": "lz4_raw"}.get(self.codec, "zstd")).partitionBy("fp_prefix").parquet(f"{base}/blobs/{name}/{state}")
+        body = to_write.select("fp", "parcel_key", "n_nodes", "raw_len", "sum", F.col("blob").cast("binary").alias("blob"), F.substring("fp", 1, 1).alias("fp_prefix"))
+        body.write.option("compression", {"plain": "zstd", "lz": "lz4_raw"}.get(self.codec, "zstd")).partitionBy("fp_prefix").parquet(f"{base}/blobs/{name}/save={state}")
         aliases.select("parcel_key", "fp").write.parquet(f"{base}/parcels/{name}/{state}")
-        new = self._read(f"blobs/{name}/{state}").agg(F.count(F.lit(1)), F.coalesce(F.sum("raw_len"), F.lit(0)), F.coalesce(F.sum("n_nodes"), F.lit(0))).first()
+        new = self._blobs(name, [state]).agg(F.count(F.lit(1)), F.coalesce(F.sum("raw_len"), F.lit(0)), F.coalesce(F.sum("n_nodes"), F.lit(0))).first()
         total = staged.count()
         delete(self.spark, f"{base}/staging/{name}/{state}")
         self.written += int(new[1]) + self.c * int(new[0])
@@ -106,13 +107,17 @@ class Store:
     def _read(self, name: str) -> DataFrame:
         return self.spark.read.parquet(f"{self.path}/{self.session}/{name}")
 
+    def _blobs(self, name: str, saves: list[int]) -> DataFrame:
+        """Parcels written by some saves, of which any may have written none."""
+        root = f"{self.path}/{self.session}/blobs/{name}"
+        return self.spark.read.schema(BLOBS).option("basePath", root).parquet(*[f"{root}/save={b}" for b in saves])
+
     def _index(self, name: str) -> DataFrame | None:
         """Fingerprints known for a variable: metadata columns of its blobs, never their bytes."""
         known = sorted({b for s in self.states.values() for n, e in s["entries"].items() if n == name for b in e["blobs"]})
         if not known:
             return None
-        root = f"{self.path}/{self.session}/blobs/{name}"
-        return self.spark.read.option("basePath", root).parquet(*[f"{root}/{b}" for b in known]).select("fp", "parcel_key").groupBy("fp").agg(F.min("parcel_key").alias("parcel_key"))
+        return self._blobs(name, known).select("fp", "parcel_key").groupBy("fp").agg(F.min("parcel_key").alias("parcel_key"))
 
     def _write_manifest(self, state: int) -> None:
         line = json.dumps({"state": state, **self.states[state]})
@@ -150,9 +155,8 @@ class Store:
         return [self.load(n, s) for n, s in requests]
 
     def _load_variable(self, name: str, entry: dict) -> DataFrame:
-        base = f"{self.path}/{self.session}"
         wanted = self._read(f"parcels/{name}/{entry['parcels']}").select("fp").groupBy("fp").agg(F.count(F.lit(1)).alias("uses"))
-        blobs = self.spark.read.option("basePath", f"{base}/blobs/{name}").parquet(*[f"{base}/blobs/{name}/{b}" for b in entry["blobs"]])
+        blobs = self._blobs(name, entry["blobs"])
         found = wanted.join(blobs.select("fp", "raw_len", "sum", F.col("blob").cast("string").alias("blob")).dropDuplicates(["fp"]), "fp", "left")
         if self.verify:
             bad = found.select(F.count_if(F.col("blob").isNull()), F.count_if(F.col("blob").isNotNull() & ((F.octet_length("blob") != F.col("raw_len")) | (F.crc32(F.col("blob").cast("binary")) != F.col("sum"))))).first()
@@ -201,7 +205,7 @@ class Store:
         gone = 0
         for v in fs.listStatus(root) if fs.exists(root) else []:
             for b in fs.listStatus(v.getPath()):
-                if (v.getPath().getName(), int(b.getPath().getName())) not in used:
+                if (v.getPath().getName(), int(b.getPath().getName().split("=")[1])) not in used:
                     fs.delete(b.getPath(), True)
                     gone += 1
         return gone
