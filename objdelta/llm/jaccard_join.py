@@ -7,8 +7,9 @@ Exact: every pair with 100 * intersection >= percent * union is connected in the
    fixed-size filters), within a level by hash. Two documents that reach the threshold share at least `common`
    shingles among the first n - ceil(percent * n / 100) + common of each, so only those beginnings are kept, and of
    them only shingles that two documents hold.
-3. Every document is verified against one leader, the document that comes first on most of its shingles. What is
-   connected then is a group: a partition of similar documents.
+3. In each of a few rounds, every shingle has a leader, drawn from the documents that hold it, and every document is
+   verified against the leader of most of its shingles that is of another group. What is connected is a group: a
+   partition of similar documents. Shingles of one group alone are done with.
 4. The token-group matrix holds each group's union of beginnings. A document's overlap with a foreign group's union
    bounds its overlap with every member; only groups that reach the bound are opened, and members that reach it too
    are verified on whole texts.
@@ -29,7 +30,7 @@ from .bitfilter import build_filter, in_filter
 from .common import Workspace, chunks, mix, read_table, shingle_hashes, text_buffers
 from .components import components
 
-K, PERCENT, COMMON = 5, 75, 4
+K, PERCENT, COMMON, ROUNDS = 5, 75, 4, 3
 #: A shingle is of level i if at least LEVELS[i] documents hold it; the filters' sizes in bits.
 LEVELS = (2, 4, 16, 64, 256, 2048)
 LEVEL_BITS = (27, 27, 25, 24, 24, 24)
@@ -106,7 +107,11 @@ def _counted(docs: DataFrame, reps, k: int) -> DataFrame:
 
 
 def _beginnings(docs: DataFrame, reps, levels, k: int, percent: int, common: int) -> DataFrame:
-    """(t, doc, n): the shingles in the documents' beginnings that others hold too."""
+    """(t, doc, n, top, pos): the shingles in the documents' beginnings that others hold too, and where they stand.
+
+    top is the largest partner that a document can have: its overlap with any is at most n less the shingles that it
+    alone holds, and the threshold asks for an overlap of percent / (100 + percent) of both sizes together.
+    """
 
     def run(batches):
         for batch in batches:
@@ -123,13 +128,16 @@ def _beginnings(docs: DataFrame, reps, levels, k: int, percent: int, common: int
                 for f in levels:  # every level's shingles are among those of the level below
                     some = some[in_filter(f.value, h[some])]
                     level[some] += 1
+                alone = np.bincount(who[level == 0], minlength=len(n))
+                top = (n - alone) * (100 + percent) // percent - n
+                p = np.where(top * 100 >= percent * n, p, 0)
                 order = np.lexsort((h, level, who))
-                take = np.zeros(len(h), bool)
-                take[order] = np.arange(len(h)) - at[who] < p[who]
-                take &= level > 0
-                yield pa.RecordBatch.from_arrays([pa.array(h[take].view(np.int64)), pa.array(ids[first + who[take]]), pa.array(n[who[take]])], ["t", "doc", "n"])
+                pos = np.empty(len(h), np.int64)
+                pos[order] = np.arange(len(h)) - at[who]
+                take = (pos < p[who]) & (level > 0)
+                yield pa.RecordBatch.from_arrays([pa.array(h[take].view(np.int64)), pa.array(ids[first + who[take]]), pa.array(n[who[take]]), pa.array(top[who[take]]), pa.array(pos[take])], ["t", "doc", "n", "top", "pos"])
 
-    return _source(docs).mapInArrow(run, "t long, doc long, n long")
+    return _source(docs).mapInArrow(run, "t long, doc long, n long, top long, pos long")
 
 
 def verify(spark: SparkSession, docs: DataFrame, pairs: DataFrame, k: int = K, percent: int = PERCENT) -> DataFrame:
@@ -162,7 +170,7 @@ def verify(spark: SparkSession, docs: DataFrame, pairs: DataFrame, k: int = K, p
     return both.mapInArrow(compare, "a long, b long")
 
 
-def join(spark: SparkSession, docs: DataFrame, k: int = K, percent: int = PERCENT, common: int = COMMON) -> DataFrame:
+def join(spark: SparkSession, docs: DataFrame, k: int = K, percent: int = PERCENT, common: int = COMMON, rounds: int = ROUNDS) -> DataFrame:
     """doc_id, n_shingles, component_id for every row of docs."""
     work = Workspace(spark, "jaccard")
     sizes = work.table(describe(docs, k), "sizes")
@@ -178,31 +186,45 @@ def join(spark: SparkSession, docs: DataFrame, k: int = K, percent: int = PERCEN
     posts = work.table(_beginnings(docs, reps, levels, k, percent, common), "posts")
     work.drop("counts")
 
-    # One leader for each document.
-    leaders = posts.groupBy("t").agg(F.min(F.struct("doc", "n")).alias("lead"), F.count(F.lit(1)).alias("c")).where(F.col("c") > 1).select("t", F.col("lead.doc").alias("lead"), F.col("lead.n").alias("m"))
-    near = (F.least("n", "m") * 100 >= F.greatest("n", "m") * percent)
-    best = posts.join(leaders, "t").where((F.col("doc") != F.col("lead")) & near).groupBy("doc", "lead").agg(F.count(F.lit(1)).alias("c")).groupBy("doc").agg(F.max(F.struct("c", (-F.col("lead")).alias("neg"))).alias("top"))
-    star = work.table(best.select(F.col("doc").alias("a"), (-F.col("top.neg")).alias("b")), "star")
-    edges.append(work.table(verify(spark, docs, star, k, percent), "led"))
-    groups = components(work, edges[-1], "groups")
-    work.release()
-
-    # The token-group matrix, for shingles that more than one group holds.
-    grouped = work.table(posts.join(groups.withColumnRenamed("node", "doc"), "doc", "left").select("t", "doc", "n", F.coalesce("component", "doc").alias("g")), "grouped")
-    work.drop("posts")
-    matrix = grouped.groupBy("t", "g").agg(F.min("n").alias("low"), F.max("n").alias("high"))
-    foreign = matrix.groupBy("t").agg(F.min("g").alias("g0"), F.max("g").alias("g1")).where("g0 < g1").select("t")
-    open_rows = work.table(grouped.join(foreign, "t"), "foreign")
-    unions = open_rows.groupBy("t", "g").agg(F.min("n").alias("low"), F.max("n").alias("high")).select("t", F.col("g").alias("other"), "low", "high")
+    # One leader for each document, several times over; only shingles that more than one group holds go on.
+    # A pair's own overlap decides how far into both beginnings its first `common` shared shingles can stand.
+    overlap = lambda x, y: F.ceil((x + y) * percent / (100 + percent))
+    reach = lambda x, y: x - overlap(x, y) + common
+    n, m = F.col("n"), F.col("m")
+    near = (F.least(n, m) * 100 >= F.greatest(n, m) * percent) & (n <= F.col("m_top")) & (m <= F.col("top")) & (F.col("pos") < reach(n, m)) & (F.col("m_pos") < reach(m, n))
+    open_rows = posts.withColumn("g", F.col("doc"))
+    for r in range(rounds):
+        lead = open_rows.groupBy("t").agg(F.min(F.struct(F.xxhash64(F.lit(r), "g").alias("h"), "g", F.xxhash64(F.lit(r), "doc").alias("i"), "doc", "n", "top", "pos")).alias("lead"))
+        lead = lead.select("t", F.col("lead.doc").alias("lead"), F.col("lead.n").alias("m"), F.col("lead.top").alias("m_top"), F.col("lead.pos").alias("m_pos"), F.col("lead.g").alias("other"))
+        best = (
+            open_rows.join(lead, "t").where((F.col("g") != F.col("other")) & near).groupBy("doc", "lead").agg(F.count(F.lit(1)).alias("c"))
+            .groupBy("doc").agg(F.max(F.struct("c", (-F.col("lead")).alias("neg"))).alias("top"))
+        )
+        star = work.table(best.select(F.col("doc").alias("a"), (-F.col("top.neg")).alias("b")), f"star-{r}")
+        edges.append(work.table(verify(spark, docs, star, k, percent), f"led-{r}"))
+        led = edges[1]
+        for e in edges[2:]:
+            led = led.unionByName(e)
+        groups = components(work, led, f"groups-{r}")
+        grouped = open_rows.drop("g").join(groups.withColumnRenamed("node", "doc"), "doc", "left").select("t", "doc", "n", "top", "pos", F.coalesce("component", "doc").alias("g"))
+        grouped = work.table(grouped, f"grouped-{r}")
+        foreign = grouped.groupBy("t").agg(F.min("g").alias("g0"), F.max("g").alias("g1")).where("g0 < g1").select("t")
+        open_rows = work.table(grouped.join(foreign, "t"), f"foreign-{r}")
+        work.drop("posts" if not r else f"foreign-{r - 1}", f"grouped-{r}")
+        work.release()
+
+    # The token-group matrix of what is left.
+    unions = open_rows.groupBy("t", "g").agg(F.min("n").alias("low"), F.max("n").alias("high"), F.max("top").alias("most"), F.min("pos").alias("m_pos")).select("t", F.col("g").alias("other"), "low", "high", "most", "m_pos")
     need = F.least(F.lit(common), F.ceil(F.col("n") * percent / 100))
-    fits = (F.col("low") * percent <= F.col("n") * 100) & (F.col("high") * 100 >= F.col("n") * percent)
+    fits = (F.col("low") * percent <= F.col("n") * 100) & (F.col("high") * 100 >= F.col("n") * percent) & (F.col("low") <= F.col("top")) & (F.col("n") <= F.col("most"))
+    fits &= (F.col("pos") < reach(n, F.col("low"))) & (F.col("m_pos") < reach(F.col("high"), n))
     qualify = (
         open_rows.join(unions, "t").where((F.col("other") < F.col("g")) & fits)
         .groupBy("doc", "n", "other").agg(F.count(F.lit(1)).alias("c")).where(F.col("c") >= need).select("doc", "other")
     )
-    member = open_rows.select("t", F.col("doc").alias("b"), F.col("n").alias("m"), F.col("g").alias("other"))
+    member = open_rows.select("t", F.col("doc").alias("b"), F.col("n").alias("m"), F.col("top").alias("m_top"), F.col("pos").alias("m_pos"), F.col("g").alias("other"))
     pairs = (
-        open_rows.select("t", "doc", "n").join(qualify, "doc").join(member, ["t", "other"]).where(near)
+        open_rows.select("t", "doc", "n", "top", "pos").join(qualify, "doc").join(member, ["t", "other"]).where(near)
         .groupBy("doc", "b", "n", "m").agg(F.count(F.lit(1)).alias("c")).where(F.col("c") >= F.least(F.lit(common), F.ceil(F.greatest("n", "m") * percent / 100)))
         .select(F.col("doc").alias("a"), "b")
     )
@@ -210,7 +232,10 @@ def join(spark: SparkSession, docs: DataFrame, k: int = K, percent: int = PERCEN
     edges.append(work.table(verify(spark, docs, opened, k, percent), "opened"))
     work.release()
 
-    reached = components(work, edges[0].unionByName(edges[1]).unionByName(edges[2]), "all")
+    links = edges[0]
+    for e in edges[1:]:
+        links = links.unionByName(e)
+    reached = components(work, links, "all")
     return sizes.join(reached.withColumnRenamed("node", "doc"), "doc", "left").select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("component", "doc").alias("component_id"))
 
 
