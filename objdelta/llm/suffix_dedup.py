@@ -32,6 +32,8 @@ from .bitfilter import FILTER_BITS, build_filter, in_filter
 from .common import Workspace, chunks, mix, prefix_sums, read_table, slide_hashes, span_hashes, text_buffers
 
 WIDTH, GRAM = 50, 16
+#: Text over which equal spans are combined before the exchange.
+COMBINE_BYTES = 8 << 20
 _LOW = np.uint64(0xFFFFFFFF)
 
 
@@ -219,15 +221,27 @@ def repeated_intervals(spark: SparkSession, docs: DataFrame, work: Workspace, wi
         for batch in batches:
             ids = batch.column(0).to_numpy()
             data, offsets = text_buffers(batch.column(1))
-            got = [(g, s, ids[first + o]) for first, part, offs in chunks(data, offsets) for g, s, o, *_ in [anchors(part, offs, width, gram)]]
-            g, s, d = (np.concatenate(x) for x in zip(*got, strict=True)) if got else (np.zeros(0, np.uint64),) * 2 + (np.zeros(0, np.int64),)
-            key = key_of(g, s)
-            order = np.lexsort((d, key))
-            new = np.ones(len(order), bool)
-            new[1:] = key[order][1:] != key[order][:-1]
-            first = np.flatnonzero(new)
-            last = np.append(first[1:], len(order)) - 1 if len(order) else first
-            yield pa.RecordBatch.from_arrays([pa.array(g[order][first].view(np.int64)), pa.array(s[order][first].view(np.int64)), pa.array(d[order][first]), pa.array(d[order][last], mask=d[order][first] == d[order][last])], ["g", "s", "lo", "hi"])
+            got, size = [], 0
+            for first, part, offs in chunks(data, offsets):
+                g, s, o, *_ = anchors(part, offs, width, gram)
+                got.append((g, s, ids[first + o]))
+                size += len(part)
+                if size >= COMBINE_BYTES:
+                    yield combined(got)
+                    got, size = [], 0
+            yield combined(got)
+
+    def combined(got):
+        """Equal spans of some texts as one row with their smallest and largest document."""
+        g, s, d = (np.concatenate(x) for x in zip(*got, strict=True)) if got else (np.zeros(0, np.uint64),) * 2 + (np.zeros(0, np.int64),)
+        key = key_of(g, s)
+        order = np.lexsort((d, key))
+        new = np.ones(len(order), bool)
+        new[1:] = key[order][1:] != key[order][:-1]
+        first = np.flatnonzero(new)
+        last = np.append(first[1:], len(order)) - 1 if len(order) else first
+        low, high = d[order][first], d[order][last]
+        return pa.RecordBatch.from_arrays([pa.array(g[order][first].view(np.int64)), pa.array(s[order][first].view(np.int64)), pa.array(low), pa.array(high, mask=low == high)], ["g", "s", "lo", "hi"])
 
     seen = source.select("doc", "text").mapInArrow(grams, "g long, s long, lo long, hi long")
     whole = seen.repartition("g").groupBy("g", "s").agg(F.min("lo").alias("m"), F.greatest(F.max("lo"), F.max("hi")).alias("x"))
