@@ -36,7 +36,7 @@ NEGATIONS = "not no never isn't aren't wasn't don't nicht kein keine pas jamais
 REPORTS = "said says called calls claimed wrote told quoted sagte dit dijo".split()
 # The default weights of the clause kinds, used when there are no labels.
 KINDS = ("plain", "aimed", "negated", "reported", "threat", "aimed_threat")
-DEFAULT = {"plain": 2.5, "aimed": 3.0, "negated": 0.5, "reported": 0.8, "threat": 0.3, "aimed_threat": 2.0}
+DEFAULT = {"plain": 5.0, "aimed": 6.0, "negated": 0.5, "reported": 1.0, "threat": 0.3, "aimed_threat": 4.0}
 DEFAULT_BIAS = -2.5
 
 CLAUSE_END = re.compile(r"[.!?;:\n]+")
@@ -127,17 +127,18 @@ class Grammar:
 
 
 def _distinct_docs(rows: list[tuple[str, int]]) -> list[tuple[set[str], int, str]]:
-    """(words, label, text) of documents that aren't near copies of one before: no shared minimum of three-word hashes."""
+    """(words, label, text) of documents that aren't near copies of one before with the same label: of the minima of
+    three hash functions over their three-word runs, at most one has been seen."""
     import xxhash
 
-    seen: set[tuple[int, int]] = set()
+    seen: set[tuple[int, int, int]] = set()
     out = []
     for text, label in rows:
-        w = WORD.findall(text.lower())
+        w = text.lower().split()
         grams = {" ".join(w[i : i + 3]) for i in range(max(1, len(w) - 2))}
-        marks = [(s, min(xxhash.xxh64_intdigest(g, s) for g in grams)) for s in (1, 2, 3)]
-        if not any(m in seen for m in marks):
-            out.append((set(w), label, text))
+        marks = [(label, s, min(xxhash.xxh64_intdigest(g, s) for g in grams)) for s in (1, 2, 3)]
+        if sum(m in seen for m in marks) < 2:
+            out.append((set(WORD.findall(text.lower())), label, text))
         seen.update(marks)
     return out
 
@@ -156,7 +157,7 @@ def learn_stems(docs: list[tuple[set[str], int, str]], most: int = MAX_STEMS) ->
     for words, label, _ in docs:
         if label:
             toxic.update(parts(words))
-    toxic = Counter({s: n for s, n in toxic.items() if n >= max(5, 0.01 * a)})
+    toxic = Counter({s: n for s, n in toxic.items() if n >= max(4, 0.01 * a)})
     clean = Counter()
     for words, label, _ in docs:
         if not label:
@@ -168,7 +169,7 @@ def learn_stems(docs: list[tuple[set[str], int, str]], most: int = MAX_STEMS) ->
             continue
         p = (x + y) / (a + b)
         g2 = 2 * (x * math.log(x / (a * p)) + (y * math.log(y / (b * p)) if y else 0))
-        if g2 >= 30:
+        if g2 >= 20:
             out[s] = 1.0
     return dict(list(out.items())[:most])
 
