@@ -77,7 +77,8 @@ def near_duplicates(spark: SparkSession, vectors: DataFrame, min_cosine: float =
         chosen = own.where((F.pmod(F.xxhash64("k1", "k2"), F.lit(1 << 20)) <= int(share * (1 << 20)))).orderBy(F.xxhash64("k1", "k2"), "k1", "k2").limit(want).select("embedding").collect()
         p = np.array([r[0] for r in chosen], np.float64)
         shipped = spark.sparkContext.broadcast(p / np.sqrt((p * p).sum(axis=1))[:, None])
-        found = _index(spark, work, own, shipped, d, order, min(min_shared, order), block, min_cosine)
+        few = min(order, len(p))  # a small class of vectors has fewer pivots
+        found = _index(spark, work, own, shipped, d, few, min(min_shared, few), block, min_cosine)
         links.append(found.where("kind = 0").select(F.col("a").alias("rep"), F.col("b").alias("n")))
         stars.append(found.where("kind = 1").select("a", "b"))
     if not links:
