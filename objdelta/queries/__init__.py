@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from . import catalogue, load, model, planning, relational, store, streams
+from . import baselines, catalogue, load, model, planning, relational, store, streams
 
 QUERIES: dict = {}
 ORACLES: dict = {}
-for _part in (model, planning, store, load, catalogue, relational, streams):
+for _part in (model, planning, store, load, baselines, catalogue, relational, streams):
     QUERIES |= _part.QUERIES
     ORACLES |= _part.ORACLES
