@@ -218,13 +218,11 @@ def join(spark: SparkSession, docs: DataFrame, k: int = K, percent: int = PERCEN
     need = F.least(F.lit(common), F.ceil(F.col("n") * percent / 100))
     fits = (F.col("low") * percent <= F.col("n") * 100) & (F.col("high") * 100 >= F.col("n") * percent) & (F.col("low") <= F.col("top")) & (F.col("n") <= F.col("most"))
     fits &= (F.col("pos") < reach(n, F.col("low"))) & (F.col("m_pos") < reach(F.col("high"), n))
-    qualify = (
-        open_rows.join(unions, "t").where((F.col("other") < F.col("g")) & fits)
-        .groupBy("doc", "n", "other").agg(F.count(F.lit(1)).alias("c")).where(F.col("c") >= need).select("doc", "other")
-    )
+    hits = open_rows.join(unions, "t").where((F.col("other") < F.col("g")) & fits).select("t", "doc", "n", "top", "pos", "other")
+    qualify = hits.groupBy("doc", "n", "other").agg(F.count(F.lit(1)).alias("c")).where(F.col("c") >= need).select("doc", "other")
     member = open_rows.select("t", F.col("doc").alias("b"), F.col("n").alias("m"), F.col("top").alias("m_top"), F.col("pos").alias("m_pos"), F.col("g").alias("other"))
     pairs = (
-        open_rows.select("t", "doc", "n", "top", "pos").join(qualify, "doc").join(member, ["t", "other"]).where(near)
+        hits.join(qualify, ["doc", "other"], "left_semi").join(member, ["t", "other"]).where(near)
         .groupBy("doc", "b", "n", "m").agg(F.count(F.lit(1)).alias("c")).where(F.col("c") >= F.least(F.lit(common), F.ceil(F.greatest("n", "m") * percent / 100)))
         .select(F.col("doc").alias("a"), "b")
     )
