@@ -77,7 +77,11 @@ def judge(pages: DataFrame, labelled: DataFrame | None = None, rules=RULES, max_
         table = base.where(F.col("__rule").isNotNull()).select("host", "path", (F.col("__rule.verdict") == "block").cast("int").alias("label"))
     else:
         table = labelled.select("url", "label").select(host.alias("host"), path.alias("path"), "label")
-    sample = table.where(F.col("label").isNotNull()).orderBy(F.xxhash64("host", "path"), "host", "path", "label").limit(max_labelled)
+    table = table.where(F.col("label").isNotNull())
+    # A share by hash that leaves about four times the bound, whatever the table's size; equal urls count once.
+    share = min(1.0, 4 * max_labelled / max(1, table.agg(F.approx_count_distinct(F.xxhash64("host", "path"))).first()[0]))
+    near = table.where(F.pmod(F.xxhash64("host", "path"), F.lit(1 << 20)) <= int(share * (1 << 20))).distinct()
+    sample = near.orderBy(F.xxhash64("host", "path"), "host", "path", "label").limit(max_labelled)
     w = fit([(r[0], r[1]) for r in sample.select(features(F.col("host"), F.col("path"), bits), "label").collect()], bits=bits)
     # A constant of fixed size (2**bits weights), folded once by the optimizer.
     weights = F.from_json(F.lit("[" + ",".join(f"{x:.6g}" for x in w[:-1]) + "]"), "array<double>")
