@@ -6,6 +6,7 @@ import atexit
 import contextlib
 import gc
 import tempfile
+import time
 import uuid
 
 import numpy as np
@@ -73,8 +74,10 @@ class Workspace:
 
     def release(self) -> None:
         """Let Spark's cleaner delete the shuffle files of plans that are no longer referenced."""
-        gc.collect()
-        self.spark.sparkContext._jvm.System.gc()
+        for _ in range(2):  # Python's references go first, the cleaner follows the JVM's collection
+            gc.collect()
+            self.spark.sparkContext._jvm.System.gc()
+            time.sleep(0.5)
 
     def close(self) -> None:
         with contextlib.suppress(Exception):
