@@ -1,19 +1,21 @@
 """Language-model scoring with a hierarchical Pitman-Yor process, its seating sampled by Gibbs.
 
-Two levels of restaurants: one for each context, all sharing the unigram restaurant as parent. A context is the class
-(a hash) of the word before, so there is a fixed number of them, whatever the vocabulary. A customer of a context is a
-training token; each of its tables sends one customer to the parent, whose own new tables are words never seen: their
-mass is the probability of an unknown word.
+Two levels of restaurants: one for each context, all sharing the unigram restaurant as parent. A context is the word
+before itself, so there are as many restaurants as words. A customer of a context is a training token; each of its
+tables sends one customer to the parent, whose own new tables are words never seen: their mass is the probability of
+an unknown word. Contexts of two and more words are not built.
 
 Given the totals of all restaurants, the tables of one (context, word) depend only on its customers and on the
 word's mass in the parent: p(t) is proportional to the generalised Stirling number S_d(c, t) times the odds of a new
 table to the power t. So a sweep resamples all words in parallel, each where its counts lie, and only the totals of
 the contexts meet in between. Predictive probabilities are averaged over the samples after burn-in.
 
-Data flow: one pass over the texts deals word counts to buckets by word hash, once for the model (training rows) and
-once, with document numbers, for scoring; model rows go first in each bucket, scored rows stream past them. Words
-that make up over 1/256 of a sample have their own buckets, dealt evenly, each with a copy of those few words'
-counts, so that no word's occurrences meet in one task. Which words these are changes no result.
+Data flow: a pass over the texts deals word counts to buckets by word hash for the model (pairs met only in held-out
+rows have count 0), and a second pass deals them with document numbers for scoring, so neither is kept on disk; model rows go first in each bucket, scored
+rows stream past them. After a sweep every bucket sends its contexts' tables to shards by context hash; a shard adds
+them up and answers each bucket about its own contexts, so no task holds the totals of all contexts. Words that make
+up over 1/256 of a sample are dealt by the word before to buckets of their own; the driver adds up those few words'
+counts, so that no word's occurrences meet in one task. Which words these are changes only the draws.
 
 Defined cases: a null or empty text is its end token alone; rows that share a doc_id are summed; rows without doc_id
 are left out; with no training row every word is unknown (probability 1); an empty table gives an empty result;
@@ -22,6 +24,7 @@ further columns are ignored.
 
 from __future__ import annotations
 
+import copy
 import pickle
 import zlib
 
@@ -34,9 +37,9 @@ from pyspark.sql import functions as F
 from .common import Workspace, chunks, id_bucket, read_table, text_buffers, word_hashes
 
 FOLD, HELD = 5, 1
-CONTEXTS = 1024
 END = np.uint64(0xE4D0F7E4D0F7E4D1)  # the end token's word hash
-HOT_SHARE, HOT_BUCKETS, SEGMENT_BYTES = 1 / 256, 8, 8 << 20
+START = np.uint64(0xA3B19C5D2E87F461)  # the context of a text's first token
+HOT_SHARE, SEGMENT_BYTES = 1 / 256, 8 << 20
 SWEEPS, BURN_IN = 3, 1
 EXACT = 32  # customers up to which tables are drawn from the exact conditional
 
@@ -58,20 +61,17 @@ def small(x: np.ndarray) -> np.ndarray:
 # ---------------------------------------------------------------- tokens
 
 
-def tokens(data: np.ndarray, offsets: np.ndarray, contexts: int):
-    """(word, context, text number) of all words, and of one end token for each text."""
+def tokens(data: np.ndarray, offsets: np.ndarray):
+    """(word, whether it is a text's first, text number) of all words, and of one end token for each text."""
     words, owner = word_hashes(data, offsets)
     n_texts = len(offsets) - 1
     count = np.bincount(owner, minlength=n_texts)
     after = np.cumsum(count)
     word = np.insert(words, after, END)
     who = np.insert(owner, after, np.arange(n_texts))
-    before = np.empty(len(word), np.int64)
-    before[1:] = 1 + (word[:-1] % np.uint64(contexts - 1)).astype(np.int64)
     first = np.ones(len(word), bool)
     first[1:] = who[1:] != who[:-1]
-    before[first] = 0
-    return word, before, who
+    return word, first, who
 
 
 def _runs(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -82,34 +82,38 @@ def _runs(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return x[at], np.diff(np.append(at, len(x)))
 
 
-def segment_blobs(word, context, who, ids, train, contexts: int, buckets: int, hot: np.ndarray, salt: int):
-    """(kind, bucket, blob) of one segment: kind 0 counts for the model, kind 1 occurrences to score."""
+def hot_buckets(buckets: int) -> int:
+    return max(8, buckets // 4)
+
+
+def segment_blobs(word, first, who, ids, train, buckets: int, hot: np.ndarray, kind: int):
+    """(kind, bucket, blob) of one segment: kind 0 counts for the model, kind 2 occurrences to score."""
     vocabulary, at = np.unique(word, return_inverse=True)
-    n_docs = len(ids)
-    key, n = _runs(np.sort((at.astype(np.int64) * contexts + context) * n_docs + who))
+    contexts = np.append(vocabulary, START)
+    before = np.empty(len(word), np.int64)
+    before[1:] = at[:-1]
+    before[first] = len(vocabulary)
+    n_docs, n_contexts = len(ids), len(contexts)
+    key, n = _runs(np.sort((at.astype(np.int64) * n_contexts + before) * n_docs + who))
     pair, doc = key // n_docs, key % n_docs
-    w, u = pair // contexts, pair % contexts
-    home = (vocabulary >> np.uint64(33)).astype(np.int64) % buckets
-    is_hot = np.isin(vocabulary, hot)
-    home[is_hot] = buckets
-    order = np.argsort(home[w], kind="stable")
-    w, u, doc, n, pair = w[order], u[order], doc[order], n[order], pair[order]
-    edges = np.searchsorted(home[w], np.arange(buckets + 2))
-    for b in range(buckets + 1):
+    w, u = pair // n_contexts, pair % n_contexts
+    home = (vocabulary >> np.uint64(33)).astype(np.int64)[w] % buckets
+    is_hot = np.isin(vocabulary, hot)[w]
+    home[is_hot] = buckets + (contexts[u[is_hot]] >> np.uint64(17)).astype(np.int64) % hot_buckets(buckets)
+    order = np.argsort(home, kind="stable")
+    home, doc, n, pair = home[order], doc[order], n[order], pair[order]
+    edges = np.searchsorted(home, np.arange(buckets + hot_buckets(buckets) + 1))
+    steps = np.diff(ids, prepend=0)
+    for b in np.flatnonzero(np.diff(edges)).tolist():
         part = slice(edges[b], edges[b + 1])
-        if part.start == part.stop:
-            continue
-        learn = train[doc[part]]
-        if learn.any():
-            p, which = np.unique(pair[part][learn], return_inverse=True)
-            c = np.bincount(which, weights=n[part][learn]).astype(np.int64)
-            ws, lens = _runs(p // contexts)
-            blob = pack((vocabulary[ws], small(lens), (p % contexts).astype(np.uint16), small(c)))
-            for to in [b] if b < buckets else range(buckets, buckets + HOT_BUCKETS):
-                yield 0, to, blob
-        ws, lens = _runs(w[part])
-        blob = pack((vocabulary[ws], small(lens), u[part].astype(np.uint16), small(doc[part]), small(n[part]), np.diff(ids, prepend=0)))
-        yield 1, b if b < buckets else buckets + salt % HOT_BUCKETS, blob
+        pairs, docs_of = _runs(pair[part])
+        words, lens = _runs(pairs // n_contexts)
+        mine, u = np.unique(pairs % n_contexts, return_inverse=True)
+        common = (vocabulary[words], small(lens), contexts[mine], small(u))
+        if kind == 0:
+            yield 0, b, pack((*common, small(np.add.reduceat(n[part] * train[doc[part]], np.cumsum(docs_of) - docs_of))))
+        else:
+            yield 2, b, pack((*common, small(docs_of), small(doc[part]), small(n[part]), steps))
 
 
 # ---------------------------------------------------------------- seating
@@ -146,11 +150,12 @@ def draw_tables(c: np.ndarray, odds: np.ndarray, stirling: np.ndarray, rng: np.r
     if len(rest):
         mean = odds[rest] * np.log((c[rest] + odds[rest]) / (EXACT + odds[rest]))
         t[rest] = np.minimum(c[rest], t[rest] + rng.poisson(mean))
+    t[c == 0] = 0
     return t
 
 
 class Totals:
-    """What the restaurants share: of fixed size."""
+    """What the restaurants share: numbers, the hot words' counts, and the totals of one bucket's contexts."""
 
     def __init__(self, contexts: int):
         self.customers = np.zeros(contexts)  # of each context
@@ -159,6 +164,15 @@ class Totals:
         self.n = self.v = 0
         self.d1 = self.d2 = 0.5
         self.theta1 = self.theta2 = 1.0
+        self.hot = np.zeros(0, np.uint64)  # sorted
+        self.hot_count = np.zeros(0)
+        self.hot_parent: list[np.ndarray] = []  # by sweep
+
+    def local(self, customers: np.ndarray, tables: list[np.ndarray]) -> Totals:
+        """The same with one bucket's contexts."""
+        out = copy.copy(self)
+        out.customers, out.tables = customers, tables
+        return out
 
 
 class Bucket:
@@ -171,14 +185,33 @@ class Bucket:
         self.w = np.repeat(np.arange(len(self.words)), lens)
         self.pair = self.w * contexts + self.u
         self.count = np.bincount(self.w, weights=self.c, minlength=len(self.words))
-        self.seats = [np.ones(len(self.c), np.int64)]
-        self.parent = [np.bincount(self.w, minlength=len(self.words)).astype(float)]
+        self.seats = [(self.c > 0).astype(np.int64)]
+        self.parent = [np.bincount(self.w, weights=self.seats[0], minlength=len(self.words))]
+
+    def resume(self, seats: list[np.ndarray]) -> Bucket:
+        """The bucket with the seatings of earlier sweeps."""
+        self.seats = [x.astype(np.int64) for x in seats]
+        self.parent = [np.bincount(self.w, weights=x, minlength=len(self.words)) for x in self.seats]
+        return self
+
+    def _overall(self, own: np.ndarray, hot: np.ndarray, totals: Totals) -> np.ndarray:
+        """The words' own numbers; those of hot words, which lie in several buckets, from the totals."""
+        if not len(totals.hot) or not len(self.words):
+            return own
+        at = np.minimum(np.searchsorted(totals.hot, self.words), len(totals.hot) - 1)
+        return np.where(totals.hot[at] == self.words, hot[at], own)
+
+    def counts(self, totals: Totals) -> np.ndarray:
+        return self._overall(self.count, totals.hot_count, totals)
+
+    def parents(self, s: int, totals: Totals) -> np.ndarray:
+        return self._overall(self.parent[s], totals.hot_parent[s] if len(totals.hot) else self.parent[s], totals)
 
     def sweep(self, totals: Totals) -> Bucket:
         """Sample the tables given the totals and the parent's customers of the sweep before."""
         s = len(self.seats)
-        rng = np.random.default_rng([self.bucket if self.bucket < 1 << 20 else 0, s])
-        mass = (self.parent[-1] - totals.d1) / (totals.theta1 + totals.all_tables[s - 1])
+        rng = np.random.default_rng([self.bucket, s])
+        mass = (self.parents(s - 1, totals) - totals.d1) / (totals.theta1 + totals.all_tables[s - 1])
         odds = (totals.theta2 + totals.d2 * totals.tables[s - 1][self.u]) * mass[self.w]
         t = draw_tables(self.c, np.maximum(odds, 1e-12), log_stirling(totals.d2), rng)
         self.seats.append(t)
@@ -197,25 +230,72 @@ class Bucket:
             unseen = (totals.theta1 + totals.d1 * totals.v) / (totals.theta1 + totals.all_tables[s])
             p1 = np.full(len(key), unseen)
             if len(self.words):
-                p1 = np.where(known, (self.parent[s][w] - totals.d1) / (totals.theta1 + totals.all_tables[s]), unseen)
+                p1 = np.where(known, (self.parents(s, totals)[w] - totals.d1) / (totals.theta1 + totals.all_tables[s]), unseen)
             t = np.where(met, self.seats[s][at] if len(self.c) else 0, 0)
             inside = totals.theta2 + totals.customers[u]
             out += (c - totals.d2 * t) / inside + (totals.theta2 + totals.d2 * totals.tables[s][u]) / inside * p1
         return out / len(samples)
 
 
-def merge_counts(blobs: list[bytes], contexts: int) -> bytes:
-    """One blob from a bucket's blobs of all segments."""
+def merge_counts(blobs: list[bytes]) -> tuple:
+    """(words, pairs of each, contexts, context of each pair, count) from a bucket's blobs of all segments."""
     parts = [unpack(b) for b in blobs]
     vocabulary = np.unique(np.concatenate([p[0] for p in parts]))
+    contexts = np.unique(np.concatenate([p[2] for p in parts]))
     keys, counts = [], []
-    for words, lens, u, c in parts:
-        keys.append(np.repeat(np.searchsorted(vocabulary, words), lens) * contexts + u)
-        counts.append(c.astype(np.int64))
+    for words, lens, before, u, c in parts:
+        keys.append(np.repeat(np.searchsorted(vocabulary, words), lens) * len(contexts) + np.searchsorted(contexts, before)[u])
+        counts.append(c)
     pair, at = np.unique(np.concatenate(keys), return_inverse=True)
     c = np.bincount(at, weights=np.concatenate(counts)).astype(np.int64)
-    _, lens = _runs(pair // contexts)
-    return pack((vocabulary, small(lens), (pair % contexts).astype(np.uint16), small(c)))
+    _, lens = _runs(pair // len(contexts))
+    return vocabulary, small(lens), contexts, small(pair % len(contexts)), small(c)
+
+
+class State:
+    """One bucket between two sweeps, as it is written: its model, its seatings and what it knows of its contexts."""
+
+    def __init__(self, model: tuple):
+        self.words, self.lens, self.contexts, self.u, self.c = model
+        self.seats: list[np.ndarray] = []
+        self.customers: np.ndarray | None = None
+        self.tables: list[np.ndarray] = []
+
+    def hear(self, answers: list[bytes]) -> None:
+        """Answers of all shards, in their order: (customers, tables) of this bucket's contexts."""
+        parts = [unpack(b) for b in answers]
+        self.customers = np.concatenate([p[0] for p in parts]).astype(float)
+        self.tables.append(np.concatenate([p[1] for p in parts]).astype(float))
+
+    def load(self, bucket: int) -> Bucket:
+        own = Bucket(bucket, pack((self.words, self.lens, self.u, self.c)), len(self.contexts))
+        return own.resume(self.seats) if self.seats else own
+
+    def messages(self, own: Bucket, shards: int):
+        """(shard, blob): contexts, customers and tables; a shard is a range of context hashes."""
+        edges = np.searchsorted(self.contexts, np.arange(shards, dtype=np.uint64) * np.uint64((1 << 64) // shards))
+        customers = np.bincount(own.u, weights=own.c, minlength=own.contexts).astype(np.int64)
+        tables = np.bincount(own.u, weights=own.seats[-1], minlength=own.contexts).astype(np.int64)
+        for k, (a, b) in enumerate(zip(edges, np.append(edges[1:], len(self.contexts)), strict=True)):
+            if a < b:
+                yield k, pack((self.contexts[a:b], small(customers[a:b]), small(tables[a:b])))
+
+
+def answer(table: pa.Table) -> pa.Table:
+    """What a shard tells every bucket that sent it something: totals over all buckets."""
+    senders, parts = table.column("bucket").to_pylist(), [unpack(b) for b in table.column("blob").to_pylist()]
+    contexts, at = np.unique(np.concatenate([p[0] for p in parts]), return_inverse=True)
+    sums = [np.bincount(at, weights=np.concatenate([p[i] for p in parts])).astype(np.int64) for i in (1, 2)]
+    blobs = [pack(tuple(small(x[np.searchsorted(contexts, p[0])]) for x in sums)) for p in parts]
+    return rows_of(zip([1] * len(blobs), senders, table.column("shard").to_pylist(), blobs, strict=True))
+
+
+def rows_of(rows) -> pa.Table:
+    kind, bucket, shard, blob = zip(*rows, strict=True)
+    return pa.table([pa.array(kind, pa.int32()), pa.array(bucket, pa.int32()), pa.array(shard, pa.int32()), pa.array(blob, pa.binary())], names=["kind", "bucket", "shard", "blob"])
+
+
+ROWS = "kind int, bucket int, shard int, blob binary"
 
 
 # ---------------------------------------------------------------- the operator
@@ -228,13 +308,13 @@ def _hot_words(source: DataFrame) -> np.ndarray:
         for batch in batches:
             data, offsets = text_buffers(batch.column(1))
             for _, part, offs in chunks(data, offsets):
-                word, n = np.unique(tokens(part, offs, CONTEXTS)[0], return_counts=True)
+                word, n = np.unique(tokens(part, offs)[0], return_counts=True)
                 top = n >= HOT_SHARE / 4 * n.sum()
                 yield pa.RecordBatch.from_arrays([pa.array(np.append(word[top].view(np.int64), 0)), pa.array(np.append(n[top], 0)), pa.array(np.append(np.zeros(top.sum(), np.int64), n.sum()))], ["w", "n", "all"])
 
     found = source.where(F.pmod(F.xxhash64("doc"), F.lit(64)) == 0).mapInArrow(count, "w long, n long, all long")
     rows = found.groupBy("w").agg(F.sum("n").alias("n"), F.sum("all").alias("all")).select("w", "n", "all", F.sum("all").over(_everything()).alias("total")).where(F.col("n") > HOT_SHARE * F.col("total")).collect()
-    return np.array([r[0] for r in rows if r[1]], np.int64).view(np.uint64)
+    return np.sort(np.array([r[0] for r in rows if r[1]], np.int64).view(np.uint64))
 
 
 def _everything():
@@ -243,100 +323,113 @@ def _everything():
     return Window.partitionBy(F.lit(1))
 
 
-def score(spark: SparkSession, docs: DataFrame, contexts: int = CONTEXTS, sweeps: int = SWEEPS) -> DataFrame:
+def score(spark: SparkSession, docs: DataFrame, sweeps: int = SWEEPS) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score."""
     work = Workspace(spark, "pitman-yor")
     buckets = max(32, int(spark.conf.get("spark.sql.shuffle.partitions", "200")) // 2)
     source = docs.select(F.col("doc_id").cast("long").alias("doc"), F.coalesce(F.col("text"), F.lit("")).alias("text")).where("doc is not null")
     hot = _hot_words(source)
 
-    def deal(batches):
-        from pyspark import TaskContext
-
-        salt = TaskContext.get().partitionId()
-        for batch in batches:
-            ids = batch.column(0).to_numpy()
-            train = np.array([zlib.crc32(str(i).encode()) % FOLD != HELD for i in ids.tolist()], bool)
-            data, offsets = text_buffers(batch.column(1))
-            for first, part, offs in chunks(data, offsets, SEGMENT_BYTES):
-                n, salt = len(offs) - 1, salt + 1
-                got = [(w, u, at + o) for at, piece, po in chunks(part, offs) for w, u, o in [tokens(piece, po, contexts)]]
-                word, u, who = (np.concatenate(x) for x in zip(*got, strict=True))
-                rows = list(segment_blobs(word, u, who, ids[first : first + n], train[first : first + n], contexts, buckets, hot, salt))
-                kind, bucket, blob = zip(*rows, strict=True)
-                yield pa.RecordBatch.from_arrays([pa.array(list(kind), pa.int32()), pa.array(list(bucket), pa.int32()), pa.array(list(blob), pa.binary())], ["kind", "bucket", "blob"])
-
-    dealt = work.table(source.mapInArrow(deal, "kind int, bucket int, blob binary"), "dealt", ("kind",)).select("kind", "bucket", "blob")
-
-    def merge(table: pa.Table) -> pa.Table:
-        blob = merge_counts(table.column("blob").to_pylist(), contexts)
-        return pa.table([pa.array([table.column("bucket")[0].as_py()], pa.int32()), pa.array([blob], pa.binary())], names=["bucket", "blob"])
-
-    model = work.table(dealt.where("kind = 0").groupBy("bucket").applyInArrow(merge, "bucket int, blob binary"), "model")
-    totals = Totals(contexts)
+    def deal(kind):
+        def run(batches):
+            for batch in batches:
+                ids = batch.column(0).to_numpy()
+                train = np.array([zlib.crc32(str(i).encode()) % FOLD != HELD for i in ids.tolist()], bool)
+                data, offsets = text_buffers(batch.column(1))
+                for begin, part, offs in chunks(data, offsets, SEGMENT_BYTES):
+                    n = len(offs) - 1
+                    got = [(w, f, at + o) for at, piece, po in chunks(part, offs) for w, f, o in [tokens(piece, po)]]
+                    word, first, who = (np.concatenate(x) for x in zip(*got, strict=True))
+                    rows = segment_blobs(word, first, who, ids[begin : begin + n], train[begin : begin + n], buckets, hot, kind)
+                    yield from rows_of((*row[:2], 0, row[2]) for row in rows).to_batches()
+
+        return source.mapInArrow(run, ROWS)
+
+    totals = Totals(0)
+    totals.hot = hot
+    rows = deal(0)
     for s in range(sweeps + 1):
-        _gather(spark, model, totals, s, buckets)
+        rows = _round(spark, work, rows, totals, s, buckets)
+        if s:
+            work.drop(f"round{s - 1}", f"answers{s - 1}")
+        work.release()
     shipped = spark.sparkContext.broadcast(totals)
 
     def rate(batches):
-        t = shipped.value
-        base_all = t.n + 0.5 * (t.v + 1)
-        own = None
+        base_all = shipped.value.n + 0.5 * (shipped.value.v + 1)
+        own = state = t = None
+        answers: list[bytes] = []
         for batch in batches:
-            for kind, bucket, blob in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
+            for kind, bucket, blob in zip(*(batch.column(i).to_pylist() for i in (0, 1, 3)), strict=True):
                 if kind == 0:
-                    own = Bucket(bucket, blob, contexts)
-                    for _ in range(sweeps):
-                        own.sweep(t)
+                    state, own, answers = unpack(blob), None, []
+                    continue
+                if kind == 1:
+                    answers.append(blob)
                     continue
-                if own is None or own.bucket != bucket:
-                    own = Bucket(bucket, pack((np.zeros(0, np.uint64), np.zeros(0, np.uint8), np.zeros(0, np.uint16), np.zeros(0, np.uint8))), contexts)
-                    for _ in range(sweeps):
-                        own.sweep(t)
-                words, lens, u, doc, n, steps = unpack(blob)
-                ids, u, n, doc = np.cumsum(steps), u.astype(np.int64), n.astype(np.float64), doc.astype(np.int64)
-                at = np.minimum(np.searchsorted(own.words, words), max(0, len(own.words) - 1))
-                here = own.words[at] == words if len(own.words) else np.zeros(len(words), bool)
-                count = np.where(here, own.count[at] if len(own.words) else 0, 0)
-                w, known = np.repeat(at, lens), np.repeat(here, lens)
-                base = n * np.log10((np.repeat(count, lens) + 0.5) / base_all)
-                rated = n * np.log10(own.predictive(w, known, u, t))
+                if own is None:
+                    state.hear(answers)
+                    own, t = state.load(bucket), shipped.value.local(state.customers, state.tables)
+                    total = own.counts(t)
+                words, lens, before, u, docs_of, doc, n, steps = unpack(blob)
+                ids, n, doc = np.cumsum(steps), n.astype(np.float64), doc.astype(np.int64)
+                w = np.repeat(np.searchsorted(own.words, words), lens)
+                known = total[w] > 0
+                rated = np.log10(own.predictive(w, known, np.searchsorted(state.contexts, before)[u], t))
+                base = np.log10((total[w] + 0.5) / base_all)
+                known, base, rated = (n * np.repeat(x, docs_of) for x in (known, base, rated))
                 some = np.unique(doc)
-                sums = [np.bincount(doc, weights=x, minlength=len(ids))[some] for x in (n, n * known, base, rated)]
+                sums = [np.bincount(doc, weights=x, minlength=len(ids))[some] for x in (n, known, base, rated)]
                 yield pa.RecordBatch.from_arrays([pa.array(ids[some]), pa.array(sums[0].astype(np.int64)), pa.array(sums[1].astype(np.int64)), pa.array(sums[2]), pa.array(sums[3])], ["doc_id", "n_tokens", "n_known", "base_score", "score"])
 
-    both = model.select(F.lit(0).alias("kind"), "bucket", "blob").unionByName(dealt.where("kind = 1").select("kind", "bucket", "blob"))
-    parts = both.repartition(buckets + HOT_BUCKETS, "bucket").sortWithinPartitions("bucket", "kind").mapInArrow(rate, "doc_id long, n_tokens long, n_known long, base_score double, score double")
+    both = rows.unionByName(deal(2)).repartition(buckets + hot_buckets(buckets), "bucket").sortWithinPartitions("bucket", "kind", "shard")
+    parts = both.mapInArrow(rate, "doc_id long, n_tokens long, n_known long, base_score double, score double")
     out = parts.groupBy("doc_id").agg(*(F.sum(c).alias(c) for c in ("n_tokens", "n_known", "base_score", "score")))
     return out.select("doc_id", (id_bucket(F.col("doc_id"), FOLD) == HELD).alias("held_out"), "n_tokens", "n_known", F.lit(int(totals.n)).cast("long").alias("train_tokens"), "base_score", "score")
 
 
-def _gather(spark: SparkSession, model: DataFrame, totals: Totals, s: int, buckets: int) -> None:
-    """Totals after sweep s over all buckets; sweep 0 is one table for each (context, word)."""
-    shipped, contexts = spark.sparkContext.broadcast(totals), len(totals.customers)
+def _round(spark: SparkSession, work: Workspace, rows: DataFrame, totals: Totals, s: int, buckets: int) -> DataFrame:
+    """Sweep s in every bucket (sweep 0 merges the dealt counts and seats one table for each pair), then the exchange.
 
-    def run(batches):
-        for batch in batches:
-            for bucket, blob in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                own = Bucket(bucket, blob, contexts)
-                for _ in range(s):
-                    own.sweep(shipped.value)
-                t, p = own.seats[-1], own.parent[-1]
-                rows = [np.arange(contexts), np.bincount(own.u, weights=own.c, minlength=contexts), np.bincount(own.u, weights=t, minlength=contexts)]
-                more = [(-1, len(own.words), p.sum()), (-2, (own.c == 1).sum(), (own.c == 2).sum()), (-3, (p == 1).sum(), (p == 2).sum())]
-                key, x, y = (np.concatenate([r, [m[i] for m in more]]).astype(np.int64) for i, r in enumerate(rows))
-                yield pa.RecordBatch.from_arrays([pa.array(key), pa.array(x), pa.array(y)], ["key", "x", "y"])
-
-    # The copies of the hot words' counts are counted once.
-    found = {r[0]: (r[1], r[2]) for r in model.where(F.col("bucket") <= buckets).mapInArrow(run, "key long, x long, y long").groupBy("key").agg(F.sum("x"), F.sum("y")).collect()}
+    Returns the buckets' states (kind 0) with the shards' answers (kind 1), and adds the sweep to the totals.
+    """
+    shipped = spark.sparkContext.broadcast(totals)
+
+    def run(table: pa.Table) -> pa.Table:
+        table = table.sort_by([("kind", "ascending"), ("shard", "ascending")])
+        bucket, kinds, blobs = table.column("bucket")[0].as_py(), table.column("kind").to_pylist(), table.column("blob").to_pylist()
+        if s == 0:
+            state = State(merge_counts(blobs))
+            own = state.load(bucket)
+        else:
+            state = unpack(blobs[kinds.index(0)])
+            state.hear(blobs[kinds.index(1) :])
+            own = state.load(bucket).sweep(shipped.value.local(state.customers, state.tables))
+        state.seats = [small(x) for x in own.seats]
+        met, c, p = own.count > 0, own.c, own.parent[-1]
+        is_hot = np.isin(own.words, shipped.value.hot)
+        p_cold = p[~is_hot]
+        sums = [c.sum(), p.sum(), (met & ~is_hot).sum(), (c == 1).sum(), (c == 2).sum(), (p_cold == 1).sum(), (p_cold == 2).sum()]
+        hot = (own.words[is_hot], own.count[is_hot], p[is_hot])
+        out = [(0, bucket, 0, pack(state)), (2, bucket, 0, pack(([int(x) for x in sums], hot)))]
+        return rows_of(out + [(1, bucket, k, blob) for k, blob in state.messages(own, buckets)])
+
+    done = work.table(rows.groupBy("bucket").applyInArrow(run, ROWS), f"round{s}", ("kind",)).select("kind", "bucket", "shard", "blob")
+    answers = work.table(done.where("kind = 1").groupBy("shard").applyInArrow(answer, ROWS), f"answers{s}")
+    sums, count, parent = np.zeros(7), np.zeros(len(totals.hot)), np.zeros(len(totals.hot))
+    for r in done.where("kind = 2").select("blob").collect():  # a few numbers of each bucket
+        some, (words, c, p) = unpack(r[0])
+        sums += some
+        at = np.searchsorted(totals.hot, words)
+        count[at] += c
+        parent[at] += p
     if s == 0:
-        totals.customers = np.array([float(found.get(u, (0, 0))[0]) for u in range(contexts)])
-        totals.n, totals.v = int(totals.customers.sum()), int(found.get(-1, (0, 0))[0])
-        for name, key in (("d2", -2), ("d1", -3)):
-            once, twice = found.get(key, (0, 0))
+        totals.n, totals.v, totals.hot_count = int(sums[0]), int(sums[2]) + int((count > 0).sum()), count
+        for name, once, twice in (("d2", *sums[3:5]), ("d1", *sums[5:7])):
             setattr(totals, name, min(0.95, max(0.05, once / (once + 2 * twice))) if once else 0.5)
-    totals.tables.append(np.array([float(found.get(u, (0, 0))[1]) for u in range(contexts)]))
-    totals.all_tables.append(float(found.get(-1, (0, 0))[1]))
+    totals.hot_parent.append(parent)
+    totals.all_tables.append(float(sums[1]))
+    return done.where("kind = 0").unionByName(answers)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

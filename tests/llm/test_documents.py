@@ -184,6 +184,30 @@ def test_pitman_yor(spark, docs):
     assert alone.count() == 0
 
 
+def test_pitman_yor_contexts_are_words(spark):
+    """With one table for each pair the scores have a closed form over true word pairs, of far more contexts than any class of hashes."""
+    r = random.Random(8)
+    docs = [(i, " ".join(r.choice(["the", "of", f"a{r.randrange(6000)}", f"a{r.randrange(60)}"]) for _ in range(r.randrange(60)))) for i in range(400)] + [(9001, None), (9002, "")]
+    held = {d: zlib.crc32(str(d).encode()) % 5 == 1 for d, _ in docs}
+    pairs = {d: list(zip([None, *(ws := (t or "").split())], [*ws, ""], strict=True)) for d, t in docs}
+    c = collections.Counter(p for d, ps in pairs.items() if not held[d] for p in ps)
+    inside, tables, parent = collections.Counter(), collections.Counter(u for u, _ in c), collections.Counter(w for _, w in c)
+    for (u, _), n in c.items():
+        inside[u] += n
+    share = lambda x: sum(v == 1 for v in x.values()) / (sum(v == 1 for v in x.values()) + 2 * sum(v == 2 for v in x.values()))
+    d2, d1 = (min(0.95, max(0.05, share(x))) for x in (c, parent))
+    assert len(inside) > 1500
+
+    def p(u, w):
+        above = (parent[w] - d1 if parent[w] else 1 + d1 * len(parent)) / (1 + len(c))
+        return (c[u, w] - d2 * (c[u, w] > 0) + (1 + d2 * tables[u]) * above) / (1 + inside[u])
+
+    got = {x.doc_id: x.score for x in pitman_yor.score(spark, frame(spark, [*docs, (None, "the of")]), sweeps=0).collect()}
+    assert set(got) == set(held)
+    for d, ps in pairs.items():
+        assert abs(got[d] - sum(math.log10(p(*x)) for x in ps)) < 1e-6
+
+
 def test_predictive_sums_to_one():
     r = np.random.default_rng(5)
     contexts, words = 4, np.arange(6, dtype=np.uint64)
