@@ -7,7 +7,8 @@ of an item all count once. A document is contaminated by an item when the marked
 reaches `min_cover`.
 
 The item index is shipped to every task while the benchmark has at most `max_tokens` tokens (checked); beyond
-that, seeds are joined as a table and only the candidate pairs meet.
+that, seeds are joined as a table and only the candidate pairs meet. Rows meet by a hash of doc_id and text there, items
+by a hash of item_id and text, so null and shared ids give the same result on both ways.
 
 Defined cases: null and empty texts match nothing; an item with fewer tokens than `min_tile` must occur whole; rows
 without doc_id are checked like others; equal rows give equal rows (distinct pairs); an empty benchmark leaves
@@ -150,7 +151,7 @@ def leaks(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, min_tile:
     """One row per contaminated (doc_id, item_id)."""
     benchmark = benchmark.select(F.col("item_id").cast("long").alias("item_id"), "text")
     if not small_enough(benchmark, max_tokens):
-        return _leaks_by_join(docs, benchmark, min_tile, min_cover)
+        return _leaks_by_join(docs, benchmark, min_tile, min_cover).drop("key", "digest").distinct()
     shipped = spark.sparkContext.broadcast(Index(_items([(r[0], r[1]) for r in benchmark.collect()]), min_tile))
 
     def scan(batches):
@@ -171,7 +172,13 @@ def _rows(rows: list[tuple]) -> pa.RecordBatch:
 
 
 def _leaks_by_join(docs: DataFrame, benchmark: DataFrame, min_tile: int, min_cover: float) -> DataFrame:
-    """For a benchmark of any size: join distinct seeds, keep pairs with enough of them, tile those."""
+    """For a benchmark of any size: join distinct seeds, tile the pairs that share any.
+
+    Every pair is tiled with its own texts, so equal hashes of different rows only add pairs to check. Rows of SCHEMA
+    with the row's key and the digest of its text.
+    """
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").withColumn("key", F.xxhash64("doc_id", "text"))
+    benchmark = benchmark.withColumn("item_key", F.xxhash64("item_id", "text"))
 
     def seeds(sizes):
         def run(batches):
@@ -193,28 +200,32 @@ def _leaks_by_join(docs: DataFrame, benchmark: DataFrame, min_tile: int, min_cov
         return run
 
     every = tuple(range(1, min_tile + 1))
-    items = benchmark.mapInArrow(seeds((*every,)), "id long, seed long").select(F.col("id").alias("item_id"), "seed")
-    found = docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(seeds(every), "id long, seed long").select(F.col("id").alias("doc_id"), "seed")
-    pairs = found.join(items, "seed").select("doc_id", "item_id").distinct()
-    both = pairs.join(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").distinct(), "doc_id").join(benchmark.withColumnRenamed("text", "item"), "item_id").select("doc_id", "item_id", "text", "item")
+    items = benchmark.select("item_key", "text").mapInArrow(seeds((*every,)), "id long, seed long").select(F.col("id").alias("item_key"), "seed")
+    found = docs.select("key", "text").mapInArrow(seeds(every), "id long, seed long").select(F.col("id").alias("key"), "seed")
+    pairs = found.join(items, "seed").select("key", "item_key").distinct()
+    both = pairs.join(docs.distinct(), "key").join(benchmark.withColumnRenamed("text", "item").distinct(), "item_key").select("doc_id", "item_id", "text", "item", "key", F.md5("text").alias("digest"))
 
     def check(batches):
         for batch in batches:
-            out = []
-            for d, n, text, item in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
+            out, at = [], []
+            for i, (d, n, text, item) in enumerate(zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True)):
                 index = Index(_items([(n, item)]), min_tile)
                 words = _items([(0, text)])[0][1]
-                out += [(d, n, tiles, marked, len(index.items[0][1])) for _, _, tiles, marked in index.leaks(words, np.zeros(len(words), np.int64), min_cover)]
-            yield _rows(out)
+                for _, _, tiles, marked in index.leaks(words, np.zeros(len(words), np.int64), min_cover):
+                    out.append((d, n, tiles, marked, len(index.items[0][1])))
+                    at.append(i)
+            rows, which = _rows(out), pa.array(at, pa.int64())
+            yield pa.RecordBatch.from_arrays([*rows.columns, batch.column(4).take(which), batch.column(5).take(which)], [*rows.schema.names, "key", "digest"])
 
-    return both.mapInArrow(check, SCHEMA).distinct()
+    return both.mapInArrow(check, SCHEMA + ", key long, digest string")
 
 
 def clean(spark: SparkSession, docs: DataFrame, benchmark: DataFrame, min_tile: int = MIN_TILE, min_cover: float = MIN_COVER, max_tokens: int = MAX_TOKENS) -> DataFrame:
     """docs without the contaminated rows; same columns."""
     if not small_enough(benchmark, max_tokens):
         bad = _leaks_by_join(docs, benchmark.select(F.col("item_id").cast("long").alias("item_id"), "text"), min_tile, min_cover)
-        return docs.join(bad.select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)
+        keyed = docs.select(F.struct(*docs.columns).alias("row"), F.xxhash64(F.col("doc_id").cast("long"), "text").alias("key"), F.md5("text").alias("digest"))
+        return keyed.join(bad.select("key", "digest").distinct(), ["key", "digest"], "left_anti").select("row.*")
     shipped = spark.sparkContext.broadcast(Index(_items([(r[0], r[1]) for r in benchmark.select("item_id", "text").collect()]), min_tile))
     at = docs.columns.index("text")
 

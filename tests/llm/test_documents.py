@@ -96,6 +96,25 @@ def test_decontamination(spark):
     assert decontaminate.leaks(spark, df, bench.limit(0)).count() == 0
 
 
+def test_decontamination_keeps_rows_apart_on_both_paths(spark):
+    """Null and shared ids with different texts: the seed join must give what the broadcast index gives."""
+    r = random.Random(6)
+    text = lambda n: " ".join(r.choice("abcdefghij") + str(r.randint(0, 99)) for _ in range(n))
+    items = [(1, text(12)), (None, text(12)), (3, text(12)), (3, text(12)), (4, "lone"), (5, None)]
+    leak = [f"{text(8)} {t} {text(8)}" if t else text(8) for _, t in items]
+    docs = [(None, leak[0]), (None, text(30)), (7, leak[1]), (7, text(30)), (7, leak[2]), (8, leak[3]), (8, leak[3]), (None, leak[4]), (9, text(30)), (9, None), (None, None), (None, "")]
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    df = frame(spark, docs)
+    want = [(None, 1), (7, None), (7, 3), (8, 3), (None, 4)]
+    bad = set(leak)
+    for limit in (1, 10**6):
+        got = decontaminate.leaks(spark, df, bench, max_tokens=limit).collect()
+        assert collections.Counter((x.doc_id, x.item_id) for x in got) == collections.Counter(want)
+        kept = decontaminate.clean(spark, df, bench, max_tokens=limit)
+        assert kept.schema == df.schema
+        assert collections.Counter((x.doc_id, x.text) for x in kept.collect()) == collections.Counter(x for x in docs if x[1] not in bad)
+
+
 def test_tiling_takes_the_longest_first():
     a = np.arange(10, dtype=np.uint64)
     doc = np.concatenate([a[5:], a[:8]])
