@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from ..functions.portable import C, collision_probability
 from ..operators import change, graphs, scope, slots
 from ..plans import planners
-from ..sessions import PAYLOAD_SQL, SESSIONS, STEPS, leaves, leaves_sql, payload_at, states, states_sql
+from ..sessions import PAYLOAD_SQL, PROFILE_SQL, SESSIONS, STEPS, leaves, leaves_sql, payload_at, profile_ppm, states, states_sql
 from .planning import _GREEDY_MEMBERS_SQL, _leaves
 
 QUERIES: dict = {}
@@ -309,3 +309,35 @@ def storage_by_session(spark, d):
         ideal = F.sum(F.when(ch, F.col("size")).otherwise(0))
         parts.append(x.agg(F.lit(s.name).alias("session"), F.sum("size").alias("snapshot_bytes"), F.sum(F.when(ch, F.col("size") + C).otherwise(0)).alias("split_bytes"), ideal.alias("ideal_bytes"), F.round(F.sum("size") / ideal, 6).alias("opportunity")))
     return union(parts)
+
+
+#: Greedy by the churn it is given: the profile, no churn, all churn.
+_GREEDY = {"greedy": PROFILE_SQL, "greedy_rate_0": "0", "greedy_rate_1": "1000000"}
+_BAKEOFF = list(SESSIONS.values())[:5]
+
+
+def _planner_sql(session, p):
+    base = leaves_sql(session)
+    if p in planners.POLICY_SQL:
+        keyed = f"(select *, {planners.POLICY_SQL[p].replace('size', 's0')} as pk from {base})"
+    else:
+        folded = planners.star_fold_sql(f"(select grp, node_key, s0 as size, ({_GREEDY[p]})::bigint as churn from {base})")
+        keyed = f"(select l.*, case when list_contains(f.kept, l.node_key) then 'list:' || l.grp else l.node_key end as pk from {base} l join {folded} f using (grp))"
+    return f"select '{session.name}' as session, '{p}' as planner, count(*) filter (where dirty)::bigint as n_parcels, coalesce(sum(bytes + {C}) filter (where dirty), 0)::bigint as total_bytes from (select step, pk, sum(size) as bytes, bool_or(changed or step = 0) as dirty from {states_sql(keyed)} group by 1, 2)"
+
+
+@query("storage_by_planner", " union all ".join(_planner_sql(s, p) for s in _BAKEOFF for p in (*planners.POLICY_SQL, *_GREEDY)))
+def storage_by_planner(spark, d):
+    """Parcels and bytes written by each of the seven planners over each of the five sessions."""
+    parts = []
+    for s in _BAKEOFF:
+        x = leaves(spark, d, s).withColumn("size", F.col("s0"))
+        star = x.select("grp", "node_key", "size")
+        for p, churn in zip(_GREEDY, (profile_ppm(F.col("node_key")), F.lit(0), F.lit(1_000_000)), strict=True):
+            members = planners.star_members(star.withColumn("churn", churn.cast("long")))
+            x = x.join(members.select("node_key", F.col("parcel_key").alias(p)), "node_key")
+        keys = F.array(*(F.struct(F.lit(p).alias("planner"), (F.col(p) if p in _GREEDY else planners.policy(p)).alias("pk")) for p in (*planners.POLICY_SQL, *_GREEDY)))
+        y = states(x.select("node_key", "s0", "chg", F.explode(keys).alias("e")).select("node_key", "s0", "chg", "e.planner", "e.pk"))
+        dirty = y.groupBy("planner", "step", "pk").agg(F.sum("size").alias("bytes"), F.bool_or(F.col("changed") | (F.col("step") == 0)).alias("dirty"))
+        parts.append(dirty.groupBy(F.lit(s.name).alias("session"), "planner").agg(F.count_if("dirty").alias("n_parcels"), F.sum(F.when(F.col("dirty"), F.col("bytes") + C).otherwise(0)).alias("total_bytes")))
+    return union(parts)

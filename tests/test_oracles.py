@@ -50,3 +50,8 @@ def test_entry_has_rows(spark):
 
 def test_oracles_belong_to_queries():
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_planner_comparison_is_whole(duck):
+    rows = duck.execute(queries.ORACLES["storage_by_planner"]).fetchall()
+    assert len({r[0] for r in rows}) == 5 and len({r[1] for r in rows}) == 7 and len(rows) == 35
