@@ -6,7 +6,7 @@ run of the next level. Batches go up by doc_id, so the runs hold the smallest do
 
 Defined cases: null or empty text is one empty line; keys under `min_chars` code points are never dropped; rows
 without doc_id keep all lines; equal rows are treated alike; an empty table gives an empty result; further columns
-of the input are carried by `apply`, whatever their names.
+of the input are carried by `apply` in a struct, whatever their names.
 """
 
 from __future__ import annotations
@@ -71,7 +71,7 @@ def line_table(docs: DataFrame, min_chars: int) -> DataFrame:
 
 
 def apply(spark: SparkSession, docs: DataFrame, min_chars: int = 10, batches: int = 3) -> DataFrame:
-    """docs with __lines (before), __dropped and __kept (text after); all columns of docs stay."""
+    """(row, lines, dropped, kept): a row of docs with all its columns, its lines before, how many go, and the text after."""
     work = Workspace(spark, "lines")
     lines = work.table(line_table(docs, min_chars), "lines")
     cuts = lines.agg(F.percentile_approx("__doc", [i / batches for i in range(1, batches)], 1000)).first()[0] or []
@@ -89,34 +89,35 @@ def apply(spark: SparkSession, docs: DataFrame, min_chars: int = 10, batches: in
         .groupBy("__doc", "__text")
         .agg(F.sort_array(F.collect_set("__pos")).alias("__out"))
     )
-    text = F.coalesce(F.col("text"), F.lit(""))
-    split = F.split(text, "\n", -1)
+    # Columns of the input travel inside one struct, so their names never meet the ones used here.
+    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), F.col("doc_id").alias("id"), F.coalesce(F.col("text"), F.lit("")).alias("full"))
+    split = F.split("full", "\n", -1)
     # Kept lines are the slices between dropped positions: linear in the lines, whatever their number.
-    bounds = F.concat(F.array(F.lit(-1)), F.col("__out"), F.array(F.size("__split")))
-    slices = F.flatten(F.transform(F.sequence(F.lit(1), F.size("__out") + 1), lambda i: F.slice(F.col("__split"), F.element_at("__bounds", i) + 2, F.element_at("__bounds", i + 1) - F.element_at("__bounds", i) - 1)))
-    joined = docs.withColumn("__t", F.xxhash64(text)).join(flags, (F.col("doc_id") == F.col("__doc")) & (F.col("__t") == F.col("__text")), "left")
+    bounds = F.concat(F.array(F.lit(-1)), F.col("__out"), F.array(F.size("split")))
+    slices = F.flatten(F.transform(F.sequence(F.lit(1), F.size("__out") + 1), lambda i: F.slice(F.col("split"), F.element_at("bounds", i) + 2, F.element_at("bounds", i + 1) - F.element_at("bounds", i) - 1)))
+    joined = rows.withColumn("t", F.xxhash64("full")).join(flags, (F.col("id") == F.col("__doc")) & (F.col("t") == F.col("__text")), "left")
     return (
-        joined.withColumn("__split", split)
-        .withColumn("__bounds", F.when(F.col("__out").isNotNull(), bounds))
-        .withColumn("__lines", F.size("__split").cast("long"))
-        .withColumn("__dropped", F.coalesce(F.size("__out"), F.lit(0)).cast("long"))
-        .withColumn("__kept", F.when(F.col("__out").isNull(), text).otherwise(F.array_join(slices, "\n")))
-        .drop("__t", "__doc", "__text", "__out", "__split", "__bounds")
+        joined.withColumn("split", split)
+        .withColumn("bounds", F.when(F.col("__out").isNotNull(), bounds))
+        .select(
+            "row", F.size("split").cast("long").alias("lines"), F.coalesce(F.size("__out"), F.lit(0)).cast("long").alias("dropped"),
+            F.when(F.col("__out").isNull(), F.col("full")).otherwise(F.array_join(slices, "\n")).alias("kept"),
+        )
     )
 
 
 def digest(spark: SparkSession, docs: DataFrame, **options) -> DataFrame:
     """One row per document: counts of lines and the hash of what stays."""
     return apply(spark, docs.select("doc_id", "text"), **options).select(
-        "doc_id", F.col("__lines").alias("n_lines"), F.col("__dropped").alias("n_dropped"), F.sha2(F.col("__kept").cast("binary"), 256).alias("kept_sha256")
+        "row.doc_id", F.col("lines").alias("n_lines"), F.col("dropped").alias("n_dropped"), F.sha2(F.col("kept").cast("binary"), 256).alias("kept_sha256")
     )
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline stage: the same documents with repeated lines taken out; n_chars follows the text."""
-    out = apply(spark, docs)
-    cols = [F.when(F.col("__dropped") > 0, F.col("__kept")).otherwise(F.col("text")).alias("text") if c == "text" else F.when(F.col("__dropped") > 0, F.length("__kept").cast("long")).otherwise(F.col("n_chars")).alias("n_chars") if c == "n_chars" else F.col(c) for c in docs.columns]
-    return out.select(*cols)
+    new = {"text": F.col("kept"), "n_chars": F.length("kept").cast("long")}
+    of = lambda c: F.col(f"row.`{c}`")
+    return apply(spark, docs).select(*((F.when(F.col("dropped") > 0, new[c]).otherwise(of(c)) if c in new else of(c)).alias(c) for c in docs.columns))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
