@@ -16,15 +16,24 @@ def _slots(key: np.ndarray, per_piece: int):
         yield ((key >> np.uint64(shift)) % np.uint64(per_piece)).astype(np.int64)
 
 
+def piece_of(key: np.ndarray, pieces: int = FILTER_PIECES) -> np.ndarray:
+    return key.view(np.int64) % pieces
+
+
+def set_bits(key: np.ndarray, per_piece: int) -> np.ndarray:
+    """One piece of a filter with the bits of its keys."""
+    field = np.zeros(per_piece // 8, np.uint8)
+    for slot in _slots(key, per_piece):
+        np.bitwise_or.at(field, slot >> 3, (1 << (slot & 7)).astype(np.uint8))
+    return field
+
+
 def build_filter(keys: DataFrame, bits: int = FILTER_BITS, pieces: int = FILTER_PIECES) -> np.ndarray:
     """Two bits for each value of keys.key; every piece of the filter is made by one task from its own keys."""
     per_piece = (1 << bits) // pieces
 
     def piece(table: pa.Table) -> pa.Table:
-        k = table.column("key").to_numpy().view(np.uint64)
-        field = np.zeros(per_piece // 8, np.uint8)
-        for slot in _slots(k, per_piece):
-            np.bitwise_or.at(field, slot >> 3, (1 << (slot & 7)).astype(np.uint8))
+        field = set_bits(table.column("key").to_numpy().view(np.uint64), per_piece)
         return pa.table({"piece": pa.array([table.column("piece")[0].as_py()], pa.int32()), "field": pa.array([field.tobytes()], pa.binary())})
 
     named = keys.select("key", F.pmod(F.col("key"), F.lit(pieces)).cast("int").alias("piece"))
@@ -36,7 +45,7 @@ def build_filter(keys: DataFrame, bits: int = FILTER_BITS, pieces: int = FILTER_
 
 def in_filter(field: np.ndarray, key: np.ndarray, pieces: int = FILTER_PIECES) -> np.ndarray:
     per_piece = len(field) * 8 // pieces
-    base = (key.view(np.int64) % pieces) * (per_piece // 8)
+    base = piece_of(key, pieces) * (per_piece // 8)
     hit = np.ones(len(key), bool)
     for slot in _slots(key, per_piece):
         hit &= (field[base + (slot >> 3)] >> (slot & 7).astype(np.uint8)) & 1 == 1

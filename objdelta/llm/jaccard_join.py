@@ -7,12 +7,14 @@ Exact: every pair with 100 * intersection >= percent * union is connected in the
    fixed-size filters), within a level by hash. Two documents that reach the threshold share at least `common`
    shingles among the first n - ceil(percent * n / 100) + common of each, so only those beginnings are kept, and of
    them only shingles that two documents hold.
-3. In each of a few rounds, every shingle has a leader, drawn from the documents that hold it, and every document is
-   verified against the leader of most of its shingles that is of another group. What is connected is a group: a
-   partition of similar documents. Shingles of one group alone are done with.
+3. In each of a few rounds every shingle has a leader among the documents that hold it: first the most central one,
+   whose shingles most others share, later one drawn by hash from another group. A document is verified against the
+   leaders of at least `common` of its shingles, so a round verifies at most one pair for each `common` rows of the
+   beginnings, however large a group is. What is connected is a group: a partition of similar documents. Shingles of
+   one group alone are done with, and the rounds end when one links nothing.
 4. The token-group matrix holds each group's union of beginnings. A document's overlap with a foreign group's union
    bounds its overlap with every member; only groups that reach the bound are opened, and members that reach it too
-   are verified on whole texts.
+   are verified on whole texts. Verified links leave each task as a spanning forest.
 
 Defined cases: a document without words has an empty set and links with nothing; fewer words than k are one shingle;
 rows that share a doc_id are one node; rows without doc_id link with nothing (component null); an empty table gives
@@ -21,19 +23,23 @@ an empty result; further columns are ignored.
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .bitfilter import build_filter, in_filter
-from .common import Workspace, chunks, mix, read_table, shingle_hashes, text_buffers
-from .components import components
+from .bitfilter import build_filter, in_filter, piece_of, set_bits
+from .common import CHUNK_BYTES, Workspace, chunks, mix, read_table, shingle_hashes, text_buffers
+from .components import components, forest
 
-K, PERCENT, COMMON, ROUNDS = 5, 75, 4, 3
+K, PERCENT, COMMON, ROUNDS = 5, 75, 4, 2
 #: A shingle is of level i if at least LEVELS[i] documents hold it; the filters' sizes in bits.
 LEVELS = (2, 4, 16, 64, 256, 2048)
 LEVEL_BITS = (27, 27, 25, 24, 24, 24)
+#: Pieces of the filters, at least; a piece has about PIECE_SHINGLES shingles at most. Text dealt to the pieces at once.
+PIECES, PIECE_SHINGLES, DEAL_BYTES = 1024, 4 << 20, 8 << 20
 
 
 def shingle_sets(data: np.ndarray, offsets: np.ndarray, k: int):
@@ -88,29 +94,59 @@ def _numbers(column) -> tuple[np.ndarray, np.ndarray]:
     return column.fill_null(0).to_numpy(), column.is_valid().to_numpy(zero_copy_only=False)
 
 
-def _counted(docs: DataFrame, reps, k: int) -> DataFrame:
-    """(t, c): in how many documents of a batch each shingle is."""
+def level_filters(docs: DataFrame, reps, pieces: int, k: int) -> list[np.ndarray]:
+    """For each of LEVELS a bit filter of the shingles that so many documents hold.
 
-    def run(batches):
+    Every run of texts sends its shingles to the filters' pieces as one blob each, equal ones counted; a piece is
+    counted whole by one task, which sets its bits. So rows are few, and no table of counts is kept.
+    """
+
+    def deal(batches):
         for batch in batches:
             ids, valid = _numbers(batch.column(0))
             data, offsets = text_buffers(batch.column(1))
             keep = valid & in_filter(reps.value, _doc_key(ids))
-            found = []
-            for first, part, offs in chunks(data, offsets):
-                h, at = shingle_sets(part, offs, k)
-                found.append(h[np.repeat(keep[first : first + len(at) - 1], np.diff(at))])
-            t, c = np.unique(np.concatenate(found) if found else np.zeros(0, np.uint64), return_counts=True)
-            yield pa.RecordBatch.from_arrays([pa.array(t.view(np.int64)), pa.array(c)], ["t", "c"])
-
-    return _source(docs).mapInArrow(run, "t long, c long")
-
-
-def _beginnings(docs: DataFrame, reps, levels, k: int, percent: int, common: int) -> DataFrame:
-    """(t, doc, n, top, pos): the shingles in the documents' beginnings that others hold too, and where they stand.
+            for begin, run, bounds in chunks(data, offsets, DEAL_BYTES):
+                found = []
+                for first, part, offs in chunks(run, bounds):
+                    h, at = shingle_sets(part, offs, k)
+                    first += begin
+                    found.append(h[np.repeat(keep[first : first + len(at) - 1], np.diff(at))])
+                t, c = np.unique(np.concatenate(found), return_counts=True)
+                where = piece_of(t, pieces)
+                order = np.argsort(where, kind="stable")
+                t, c, edges = t[order], np.minimum(c[order], 65535).astype(np.uint16), np.searchsorted(where[order], np.arange(pieces + 1))
+                some = np.flatnonzero(np.diff(edges))
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(some.astype(np.int32)), *(pa.array([x[edges[i] : edges[i + 1]].tobytes() for i in some.tolist()], pa.binary()) for x in (t, c))], ["piece", "t", "c"]
+                )
+
+    def count(table: pa.Table) -> pa.Table:
+        t, c = (np.concatenate([np.frombuffer(x.as_buffer(), kind) for x in table.column(name)]) for name, kind in (("t", np.uint64), ("c", np.uint16)))
+        order = np.argsort(t)
+        t, c = t[order], c[order].astype(np.int64)
+        new = np.ones(len(t), bool)
+        new[1:] = t[1:] != t[:-1]
+        at = np.flatnonzero(new)
+        t, total = t[at], np.add.reduceat(c, at)
+        fields = [set_bits(t[total >= least], (1 << bits) // pieces).tobytes() for least, bits in zip(LEVELS, LEVEL_BITS, strict=True)]
+        return pa.table([pa.array([table.column("piece")[0].as_py()], pa.int32()), pa.array([fields], pa.list_(pa.binary()))], names=["piece", "fields"])
+
+    out = [np.zeros(1 << (bits - 3), np.uint8) for bits in LEVEL_BITS]
+    dealt = _source(docs).mapInArrow(deal, "piece int, t binary, c binary")
+    for piece, fields in dealt.groupBy("piece").applyInArrow(count, "piece int, fields array<binary>").collect():  # of fixed size, whatever the input
+        for whole, field in zip(out, fields, strict=True):
+            whole[piece * len(field) : (piece + 1) * len(field)] = np.frombuffer(field, np.uint8)
+    return out
+
+
+def _beginnings(docs: DataFrame, reps, levels, pieces: int, k: int, percent: int, common: int) -> DataFrame:
+    """(t, doc, n, top, pos, mid, text): the shingles in the documents' beginnings that others hold too, and where they stand.
 
     top is the largest partner that a document can have: its overlap with any is at most n less the shingles that it
-    alone holds, and the threshold asks for an overlap of percent / (100 + percent) of both sizes together.
+    alone holds, and the threshold asks for an overlap of percent / (100 + percent) of both sizes together. mid is the
+    mean level of all its shingles, in thousandths: how central it is. Its text comes with the
+    first of its rows.
     """
 
     def run(batches):
@@ -125,8 +161,8 @@ def _beginnings(docs: DataFrame, reps, levels, k: int, percent: int, common: int
                 who = np.repeat(np.arange(len(n)), n)
                 level = np.zeros(len(h), np.int64)
                 some = np.arange(len(h))
-                for f in levels:  # every level's shingles are among those of the level below
-                    some = some[in_filter(f.value, h[some])]
+                for f in levels.value:  # every level's shingles are among those of the level below
+                    some = some[in_filter(f, h[some], pieces)]
                     level[some] += 1
                 alone = np.bincount(who[level == 0], minlength=len(n))
                 top = (n - alone) * (100 + percent) // percent - n
@@ -135,13 +171,31 @@ def _beginnings(docs: DataFrame, reps, levels, k: int, percent: int, common: int
                 pos = np.empty(len(h), np.int64)
                 pos[order] = np.arange(len(h)) - at[who]
                 take = (pos < p[who]) & (level > 0)
-                yield pa.RecordBatch.from_arrays([pa.array(h[take].view(np.int64)), pa.array(ids[first + who[take]]), pa.array(n[who[take]]), pa.array(top[who[take]]), pa.array(pos[take])], ["t", "doc", "n", "top", "pos"])
-
-    return _source(docs).mapInArrow(run, "t long, doc long, n long, top long, pos long")
-
-
-def verify(spark: SparkSession, docs: DataFrame, pairs: DataFrame, k: int = K, percent: int = PERCENT) -> DataFrame:
-    """The pairs (a, b) that reach the threshold, on whole texts; only texts of candidates are exchanged."""
+                mid = 1000 * np.bincount(who, weights=level, minlength=len(n)).astype(np.int64) // np.maximum(n, 1)
+                of = who[take]
+                columns = (h[take].view(np.int64), ids[first + of], n[of], top[of], pos[take], mid[of])
+                once = np.ones(len(of), bool)
+                once[1:] = of[1:] != of[:-1]
+                text = batch.column(1).take(pa.array(first + of, mask=~once))
+                yield pa.RecordBatch.from_arrays([*(pa.array(c) for c in columns), text], ["t", "doc", "n", "top", "pos", "mid", "text"])
+
+    return _source(docs).mapInArrow(run, "t long, doc long, n long, top long, pos long, mid long, text string")
+
+
+def _linked(batch: pa.RecordBatch, k: int, percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """Of rows (a, b, x, y), the pairs (a, b) whose texts x and y reach the threshold."""
+    keep = np.zeros(batch.num_rows, bool)
+    (x, p), (y, q) = (shingle_sets(*text_buffers(batch.column(c)), k) for c in (2, 3))
+    for i in range(batch.num_rows):
+        a, b = x[p[i] : p[i + 1]], y[q[i] : q[i + 1]]
+        same = len(np.intersect1d(a, b, assume_unique=True))
+        keep[i] = same > 0 and 100 * same >= percent * (len(a) + len(b) - same)
+    return tuple(batch.column(c).to_numpy()[keep] for c in (0, 1))
+
+
+def verify(spark: SparkSession, texts: DataFrame, pairs: DataFrame, k: int = K, percent: int = PERCENT) -> DataFrame:
+    """Links (a, b) that connect what the pairs connect that reach the threshold, on the whole texts (doc, text): for
+    each batch a spanning forest, at most one row for each document in it. Only texts of candidates are exchanged."""
     wanted = spark.sparkContext.broadcast(_doc_filter(pairs.select("a").unionByName(pairs.select(F.col("b").alias("a"))).distinct()))
 
     def pick(batches):
@@ -149,23 +203,20 @@ def verify(spark: SparkSession, docs: DataFrame, pairs: DataFrame, k: int = K, p
             ids, valid = _numbers(batch.column(0))
             yield batch.filter(pa.array(valid & in_filter(wanted.value, _doc_key(ids))))
 
-    texts = _source(docs).mapInArrow(pick, "doc long, text string")
+    texts = texts.mapInArrow(pick, "doc long, text string")
     both = pairs.join(texts.select(F.col("doc").alias("a"), F.col("text").alias("x")), "a").join(texts.select(F.col("doc").alias("b"), F.col("text").alias("y")), "b").select("a", "b", "x", "y")
 
     def compare(batches):
         for batch in batches:
-            keep = np.zeros(batch.num_rows, bool)
-            sides = []
-            for c in (2, 3):
-                data, offsets = text_buffers(batch.column(c))
-                got = [(h, np.diff(at)) for _, part, offs in chunks(data, offsets) for h, at in [shingle_sets(part, offs, k)]]
-                sides.append((np.concatenate([g[0] for g in got]), np.concatenate([[0], np.cumsum(np.concatenate([g[1] for g in got]))])) if got else (np.zeros(0, np.uint64), np.zeros(1, int)))
-            (x, p), (y, q) = sides
-            for i in range(batch.num_rows):
-                a, b = x[p[i] : p[i + 1]], y[q[i] : q[i + 1]]
-                same = len(np.intersect1d(a, b, assume_unique=True))
-                keep[i] = same > 0 and 100 * same >= percent * (len(a) + len(b) - same)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], ["a", "b"]).filter(pa.array(keep))
+            ends = np.cumsum(sum(np.diff(text_buffers(batch.column(c))[1]) for c in (2, 3)))
+            found, i = [], 0
+            while i < batch.num_rows:  # so many rows at a time as have CHUNK_BYTES of text, one at least
+                j = max(i + 1, int(np.searchsorted(ends, (ends[i - 1] if i else 0) + CHUNK_BYTES, side="right")))
+                found.append(_linked(batch.slice(i, j - i), k, percent))
+                i = j
+            if found:
+                a, b = forest(*(np.concatenate(x) for x in zip(*found, strict=True)))
+                yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
 
     return both.mapInArrow(compare, "a long, b long")
 
@@ -175,74 +226,88 @@ def join(spark: SparkSession, docs: DataFrame, k: int = K, percent: int = PERCEN
     work = Workspace(spark, "jaccard")
     sizes = work.table(describe(docs, k), "sizes")
     real = sizes.where(F.col("doc").isNotNull() & (F.col("n") > 0))
-    classes = real.groupBy("n", "d1", "d2").agg(F.min("doc").alias("rep"))
-    equal = real.join(classes, ["n", "d1", "d2"]).where(F.col("doc") != F.col("rep")).select(F.col("doc").alias("a"), F.col("rep").alias("b"))
-    edges = [work.table(equal, "equal")]
+    classes = work.table(real.groupBy("n", "d1", "d2").agg(F.min("doc").alias("rep")), "classes")
     reps = spark.sparkContext.broadcast(_doc_filter(classes.select("rep")))
-
-    counts = work.table(_counted(docs, reps, k).groupBy("t").agg(F.sum("c").alias("c")).where(F.col("c") >= LEVELS[0]), "counts")
+    # Rows that share a doc_id but not their words are one node: their classes are linked.
+    shared = real.groupBy("doc").agg(F.min(F.struct("n", "d1", "d2")).alias("x"), F.max(F.struct("n", "d1", "d2")).alias("y")).where("x <> y").select("doc")
+    several = real.join(shared, "doc").join(classes, ["n", "d1", "d2"]).where("doc <> rep").select(F.col("doc").alias("a"), F.col("rep").alias("b")).distinct()
+    edges = [work.table(several, "several")]
+
+    total = sizes.agg(F.sum("n")).first()[0] or 0
+    pieces = max(PIECES, 1 << (total // PIECE_SHINGLES).bit_length())
+    levels = spark.sparkContext.broadcast(level_filters(docs, reps, pieces, k))
     work.release()
-    levels = [spark.sparkContext.broadcast(build_filter(counts.where(F.col("c") >= c).select(F.col("t").alias("key")), bits)) for c, bits in zip(LEVELS, LEVEL_BITS, strict=True)]
-    posts = work.table(_beginnings(docs, reps, levels, k, percent, common), "posts")
-    work.drop("counts")
+    posts = work.table(_beginnings(docs, reps, levels, pieces, k, percent, common), "posts")
+    texts = posts.where("text is not null").select("doc", "text")
 
-    # One leader for each document, several times over; only shingles that more than one group holds go on.
     # A pair's own overlap decides how far into both beginnings its first `common` shared shingles can stand.
     overlap = lambda x, y: F.ceil((x + y) * percent / (100 + percent))
     reach = lambda x, y: x - overlap(x, y) + common
+    least = lambda x: F.least(F.lit(common), F.ceil(x * percent / 100))  # noqa: E731  a smaller document may share fewer
     n, m = F.col("n"), F.col("m")
     near = (F.least(n, m) * 100 >= F.greatest(n, m) * percent) & (n <= F.col("m_top")) & (m <= F.col("top")) & (F.col("pos") < reach(n, m)) & (F.col("m_pos") < reach(m, n))
-    open_rows = posts.withColumn("g", F.col("doc"))
+    open_rows = posts.drop("text").withColumn("g", F.col("doc"))
     for r in range(rounds):
-        lead = open_rows.groupBy("t").agg(F.min(F.struct(F.xxhash64(F.lit(r), "g").alias("h"), "g", F.xxhash64(F.lit(r), "doc").alias("i"), "doc", "n", "top", "pos")).alias("lead"))
+        order = (-F.col("mid")) if r == 0 else F.xxhash64(F.lit(r), "g")
+        lead = open_rows.groupBy("t").agg(F.min(F.struct(order.alias("h"), "g", F.xxhash64(F.lit(r), "doc").alias("i"), "doc", "n", "top", "pos")).alias("lead"))
         lead = lead.select("t", F.col("lead.doc").alias("lead"), F.col("lead.n").alias("m"), F.col("lead.top").alias("m_top"), F.col("lead.pos").alias("m_pos"), F.col("lead.g").alias("other"))
-        best = (
-            open_rows.join(lead, "t").where((F.col("g") != F.col("other")) & near).groupBy("doc", "lead").agg(F.count(F.lit(1)).alias("c"))
-            .groupBy("doc").agg(F.max(F.struct("c", (-F.col("lead")).alias("neg"))).alias("top"))
-        )
-        star = work.table(best.select(F.col("doc").alias("a"), (-F.col("top.neg")).alias("b")), f"star-{r}")
-        edges.append(work.table(verify(spark, docs, star, k, percent), f"led-{r}"))
-        led = edges[1]
-        for e in edges[2:]:
-            led = led.unionByName(e)
-        groups = components(work, led, f"groups-{r}")
-        grouped = open_rows.drop("g").join(groups.withColumnRenamed("node", "doc"), "doc", "left").select("t", "doc", "n", "top", "pos", F.coalesce("component", "doc").alias("g"))
+        led_by = open_rows.join(lead, "t").where((F.col("g") != F.col("other")) & near).groupBy("doc", "lead", "n", "m").agg(F.count(F.lit(1)).alias("c"))
+        star = work.table(led_by.where(F.col("c") >= least(F.greatest("n", "m"))).select(F.col("doc").alias("a"), F.col("lead").alias("b")), f"star-{r}")
+        edges.append(work.table(verify(spark, texts, star, k, percent), f"led-{r}"))
+        if not edges[-1].limit(1).count():
+            break
+        groups = components(work, _all(edges), f"groups-{r}")
+        grouped = open_rows.drop("g").join(groups.withColumnRenamed("node", "doc"), "doc", "left").select("t", "doc", "n", "top", "pos", "mid", F.coalesce("component", "doc").alias("g"))
+        if r == rounds - 1:
+            open_rows = work.table(grouped, "open")
+            break
         grouped = work.table(grouped, f"grouped-{r}")
         foreign = grouped.groupBy("t").agg(F.min("g").alias("g0"), F.max("g").alias("g1")).where("g0 < g1").select("t")
         open_rows = work.table(grouped.join(foreign, "t"), f"foreign-{r}")
-        work.drop("posts" if not r else f"foreign-{r - 1}", f"grouped-{r}")
+        work.drop(f"grouped-{r}")
         work.release()
 
-    # The token-group matrix of what is left.
-    unions = open_rows.groupBy("t", "g").agg(F.min("n").alias("low"), F.max("n").alias("high"), F.max("top").alias("most"), F.min("pos").alias("m_pos")).select("t", F.col("g").alias("other"), "low", "high", "most", "m_pos")
-    need = F.least(F.lit(common), F.ceil(F.col("n") * percent / 100))
+    # The token-group matrix of what is left. Of the h shingles that a document shares with a group, a partner in it
+    # holds `common` at least, hence one of any h - common + 1: the members are looked up by those that the fewest hold.
+    unions = open_rows.groupBy("t", "g").agg(F.min("n").alias("low"), F.max("n").alias("high"), F.max("top").alias("most"), F.min("pos").alias("m_pos"), F.count(F.lit(1)).alias("held")).withColumnRenamed("g", "other")
     fits = (F.col("low") * percent <= F.col("n") * 100) & (F.col("high") * 100 >= F.col("n") * percent) & (F.col("low") <= F.col("top")) & (F.col("n") <= F.col("most"))
     fits &= (F.col("pos") < reach(n, F.col("low"))) & (F.col("m_pos") < reach(F.col("high"), n))
-    hits = open_rows.join(unions, "t").where((F.col("other") < F.col("g")) & fits).select("t", "doc", "n", "top", "pos", "other")
-    qualify = hits.groupBy("doc", "n", "other").agg(F.count(F.lit(1)).alias("c")).where(F.col("c") >= need).select("doc", "other")
+    hits = open_rows.join(unions, "t").where((F.col("other") < F.col("g")) & fits).select("t", "doc", "n", "top", "pos", "other", "held")
+    bound = Window.partitionBy("doc", "other")
+    rare = hits.withColumn("h", F.count(F.lit(1)).over(bound)).withColumn("i", F.row_number().over(bound.orderBy("held", "t"))).where(F.col("i") <= F.col("h") - least(n) + 1)
     member = open_rows.select("t", F.col("doc").alias("b"), F.col("n").alias("m"), F.col("top").alias("m_top"), F.col("pos").alias("m_pos"), F.col("g").alias("other"))
-    pairs = (
-        hits.join(qualify, ["doc", "other"], "left_semi").join(member, ["t", "other"]).where(near)
-        .groupBy("doc", "b", "n", "m").agg(F.count(F.lit(1)).alias("c")).where(F.col("c") >= F.least(F.lit(common), F.ceil(F.greatest("n", "m") * percent / 100)))
-        .select(F.col("doc").alias("a"), "b")
-    )
+    pairs = rare.join(member, ["t", "other"]).where(near).select(F.col("doc").alias("a"), "b").distinct()
     opened = work.table(pairs, "pairs")
-    edges.append(work.table(verify(spark, docs, opened, k, percent), "opened"))
+    edges.append(work.table(verify(spark, texts, opened, k, percent), "opened"))
     work.release()
 
-    links = edges[0]
-    for e in edges[1:]:
-        links = links.unionByName(e)
-    reached = components(work, links, "all")
-    return sizes.join(reached.withColumnRenamed("node", "doc"), "doc", "left").select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("component", "doc").alias("component_id"))
+    # A class has the component of its representative, the smallest document in it.
+    reached = components(work, _all(edges), "all").select(F.col("node").alias("rep"), "component")
+    named = sizes.join(classes, ["n", "d1", "d2"], "left").join(reached, "rep", "left")
+    alone = F.col("n") == 0
+    return named.select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), F.when(alone | F.col("doc").isNull(), F.col("doc")).otherwise(F.coalesce("component", "rep")).alias("component_id"))
+
+
+def _all(edges: list[DataFrame]) -> DataFrame:
+    return reduce(DataFrame.unionByName, edges)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return join(spark, read_table(spark, sf_dir, "documents"))
 
 
-def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline stage: of each group, the document with the smallest id stays; same columns."""
-    out = join(spark, docs)
-    gone = out.where(F.col("doc_id") != F.col("component_id")).select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(gone, docs["doc_id"] == F.col("__gone"), "left_anti")
+def stage(spark: SparkSession, docs: DataFrame, sf_dir: str, keep_empty: bool = True) -> DataFrame:
+    """Pipeline stage: of each group one row stays, that of the smallest id; same columns.
+
+    Rows that repeat that id are one document, of which the row with the smallest text hash stays. Documents without
+    words link with nothing: they stay, or with keep_empty=False (earlier stages may have emptied them) they all go.
+    Rows without doc_id link with nothing and stay alike.
+    """
+    out = Workspace(spark, "near").table(join(spark, docs), "groups").where("doc_id is not null")
+    mark = next(c for c in (f"mark{i}" for i in range(len(docs.columns) + 1)) if c not in docs.columns)
+    per = out.groupBy(F.col("doc_id").alias(mark)).agg(F.max(F.col("doc_id") != F.col("component_id")).alias("gone"), F.count(F.lit(1)).alias("rows"))
+    gone, again = (per.where(x).select(mark) for x in ("gone or rows > 1", "not gone and rows > 1"))
+    docs = docs if keep_empty else docs.where(F.coalesce(F.col("text"), F.lit("")).rlike(r"[^\x20\x09-\x0D]"))
+    key = docs["doc_id"].cast("long")
+    rows = docs.join(again, key == again[mark], "left_semi").groupBy("doc_id").agg(F.min_by(F.struct(*(F.col(f"`{c}`") for c in docs.columns)), F.xxhash64("text")).alias(mark))
+    return docs.join(gone, key == gone[mark], "left_anti").unionByName(rows.select(f"{mark}.*"))

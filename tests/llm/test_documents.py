@@ -280,6 +280,38 @@ def test_jaccard_join(spark, docs):
     assert sorted(x.doc_id for x in kept.collect() if x.doc_id is not None) == sorted({low[d] for d in ids})
 
 
+def test_jaccard_stage_repeats_and_empties(spark):
+    long = " ".join(f"w{i}" for i in range(40))
+    rows = [(1, long, "a"), (1, long, "a"), (1, long + " x", "b"), (2, long, "c"), (7, "", "d"), (8, " \n", "e"), (None, long, "f"), (None, None, "g")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, mark0 string")
+    kept = [(r.doc_id, r.mark0) for r in jaccard_join.stage(spark, df, "").collect()]
+    assert sorted(d for d, _ in kept if d) == [1, 7, 8] and {m for d, m in kept if d is None} == {"f", "g"}
+    bare = jaccard_join.stage(spark, df, "", keep_empty=False)
+    assert sorted((r.doc_id or 0) for r in bare.collect()) == [0, 1] and bare.columns == df.columns
+    assert jaccard_join.stage(spark, df.limit(0), "").count() == 0
+
+
+def test_jaccard_large_group_of_near_copies(spark):
+    """Copies of one text with two words changed each: one group, and few rows on the way to it."""
+    r = random.Random(5)
+    base = [f"v{i}" for i in range(120)]
+    docs = []
+    for i in range(300):
+        t = list(base)
+        for _ in range(r.choice([1, 2, 3])):
+            t[r.randrange(120)] = f"u{r.randrange(40)}"
+        docs.append((i, " ".join(t)))
+    sets = [shingles(t) for _, t in docs]
+    low = list(range(300))
+    while True:
+        new = [min(low[j] for j in range(300) if i == j or 100 * len(sets[i] & sets[j]) >= 75 * len(sets[i] | sets[j])) for i in range(300)]
+        if new == low:
+            break
+        low = new
+    got = {r.doc_id: r.component_id for r in jaccard_join.join(spark, frame(spark, docs)).collect()}
+    assert got == dict(enumerate(low))
+
+
 # ---------------------------------------------------------------- 7
 
 
@@ -301,6 +333,14 @@ def test_line_dedup(spark, docs):
     assert line_dedup.digest(spark, df.limit(0)).count() == 0
 
 
+def test_line_dedup_clashing_columns(spark):
+    names = ["__doc", "__text", "__t", "__split", "__bounds", "__out", "row", "kept", "lines", "dropped", "full"]
+    df = spark.createDataFrame([(i, "one long line\nx\nanother long line", *["v"] * len(names)) for i in (1, 2, None)], "doc_id long, text string, " + ", ".join(f"{n} string" for n in names))
+    out = line_dedup.stage(spark, df, "")
+    assert out.columns == df.columns
+    assert {(r.doc_id, r.text, r.kept) for r in out.collect()} == {(1, df.first().text, "v"), (2, "x", "v"), (None, df.first().text, "v")}
+
+
 def test_run_store_compacts(spark):
     from objdelta.llm.common import Workspace
 
