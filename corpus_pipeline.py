@@ -6,6 +6,8 @@ stage's docs. All but the last return the columns of documents.
 
 from __future__ import annotations
 
+import functools
+
 from pyspark.sql import DataFrame, SparkSession
 
 from objdelta.llm import decontaminate, jaccard_join, line_dedup, packing, toxicity
@@ -14,7 +16,7 @@ from objdelta.llm.common import Workspace, read_table
 STAGES = [
     ("toxicity", toxicity.stage),
     ("line_dedup", line_dedup.stage),
-    ("jaccard_join", jaccard_join.stage),
+    ("jaccard_join", functools.partial(jaccard_join.stage, keep_empty=False)),  # line dedup empties exact copies
     ("decontamination", decontaminate.stage),
     ("packing", packing.stage),
 ]

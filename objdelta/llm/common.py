@@ -26,7 +26,7 @@ LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 
 #: Bytes of text that one numpy pass takes at a time (a longer document is a pass of its own).
-CHUNK_BYTES = 1 << 20
+CHUNK_BYTES = (1 << 19) - 64
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

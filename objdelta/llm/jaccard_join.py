@@ -9,12 +9,12 @@ Exact: every pair with 100 * intersection >= percent * union is connected in the
    them only shingles that two documents hold.
 3. In each of a few rounds every shingle has a leader among the documents that hold it: first the most central one,
    whose shingles most others share, later one drawn by hash from another group. A document is verified against the
-   leaders of at least `common` of its shingles, so a round verifies at most one pair for each `common` rows of the
-   beginnings, however large a group is. What is connected is a group: a partition of similar documents. Shingles of
-   one group alone are done with, and the rounds end when one links nothing.
+   leaders of its rarest shingles and those of at least `common` of its shingles, unless their parities already differ
+   in too many bits; so a round's pairs are linear in the documents, however large a group is. What is connected is a
+   group: a partition of similar documents. Shingles of one group alone are done with.
 4. The token-group matrix holds each group's union of beginnings. A document's overlap with a foreign group's union
-   bounds its overlap with every member; only groups that reach the bound are opened, and members that reach it too
-   are verified on whole texts. Verified links leave each task as a spanning forest.
+   bounds its overlap with every member (by parities as well, if one member alone holds the shingle); only groups that
+   reach the bound are opened, and members that reach it too are verified on whole texts. Verified links leave each task as a spanning forest.
 
 Defined cases: a document without words has an empty set and links with nothing; fewer words than k are one shingle;
 rows that share a doc_id are one node; rows without doc_id link with nothing (component null); an empty table gives
@@ -34,12 +34,17 @@ from .bitfilter import build_filter, in_filter, piece_of, set_bits
 from .common import CHUNK_BYTES, Workspace, chunks, mix, read_table, shingle_hashes, text_buffers
 from .components import components, forest
 
-K, PERCENT, COMMON, ROUNDS = 5, 75, 4, 2
+K, PERCENT, COMMON, ROUNDS = 5, 75, 4, 3
 #: A shingle is of level i if at least LEVELS[i] documents hold it; the filters' sizes in bits.
 LEVELS = (2, 4, 16, 64, 256, 2048)
 LEVEL_BITS = (27, 27, 25, 24, 24, 24)
 #: Pieces of the filters, at least; a piece has about PIECE_SHINGLES shingles at most. Text dealt to the pieces at once.
-PIECES, PIECE_SHINGLES, DEAL_BYTES = 1024, 4 << 20, 8 << 20
+PIECES, PIECE_SHINGLES, DEAL_BYTES = 1024, 4 << 20, 4 << 20
+#: Words of a document's parities, which bound how many shingles two documents differ in.
+PARITY = 4
+#: Leaders of a document's rarest shingles that it is verified against in any case.
+RAREST = 2
+_SIG = [f"s{i}" for i in range(PARITY)]
 
 
 def shingle_sets(data: np.ndarray, offsets: np.ndarray, k: int):
@@ -53,6 +58,14 @@ def shingle_sets(data: np.ndarray, offsets: np.ndarray, k: int):
     return h, np.concatenate([[0], np.cumsum(np.bincount(who, minlength=len(offsets) - 1))]).astype(np.int64)
 
 
+def parities(h: np.ndarray, who: np.ndarray, n_texts: int) -> np.ndarray:
+    """PARITY words of 64 bits for each text: bit b is the parity of its shingles that hash to b. Two texts' shingle sets
+    differ in at least as many shingles as their parities differ in bits."""
+    bits = 64 * PARITY
+    odd = np.bincount(who * bits + ((h >> np.uint64(40)) % np.uint64(bits)).astype(np.int64), minlength=n_texts * bits) & 1
+    return np.packbits(odd.astype(np.uint8).reshape(n_texts, bits), axis=1).view(np.int64)
+
+
 def beginning(n: np.ndarray, percent: int = PERCENT, common: int = COMMON) -> np.ndarray:
     """Shingles that a document of n shows."""
     return np.minimum(n, n - -(-percent * n // 100) + common)
@@ -145,9 +158,10 @@ def _beginnings(docs: DataFrame, reps, levels, pieces: int, k: int, percent: int
 
     top is the largest partner that a document can have: its overlap with any is at most n less the shingles that it
     alone holds, and the threshold asks for an overlap of percent / (100 + percent) of both sizes together. mid is the
-    mean level of all its shingles, in thousandths: how central it is. Its text comes with the
-    first of its rows.
+    mean level of all its shingles, in thousandths: how central it is. Its text and its
+    parities come with the first of its rows.
     """
+    schema = "t long, doc long, n long, top long, pos long, mid long, text string, " + ", ".join(f"{c} long" for c in _SIG)
 
     def run(batches):
         for batch in batches:
@@ -177,9 +191,11 @@ def _beginnings(docs: DataFrame, reps, levels, pieces: int, k: int, percent: int
                 once = np.ones(len(of), bool)
                 once[1:] = of[1:] != of[:-1]
                 text = batch.column(1).take(pa.array(first + of, mask=~once))
-                yield pa.RecordBatch.from_arrays([*(pa.array(c) for c in columns), text], ["t", "doc", "n", "top", "pos", "mid", "text"])
+                sig = parities(h, who, len(n))
+                marks = [pa.array(sig[of, i], mask=~once) for i in range(PARITY)]
+                yield pa.RecordBatch.from_arrays([*(pa.array(c) for c in columns), text, *marks], ["t", "doc", "n", "top", "pos", "mid", "text", *_SIG])
 
-    return _source(docs).mapInArrow(run, "t long, doc long, n long, top long, pos long, mid long, text string")
+    return _source(docs).mapInArrow(run, schema)
 
 
 def _linked(batch: pa.RecordBatch, k: int, percent: int) -> tuple[np.ndarray, np.ndarray]:
@@ -193,17 +209,9 @@ def _linked(batch: pa.RecordBatch, k: int, percent: int) -> tuple[np.ndarray, np
     return tuple(batch.column(c).to_numpy()[keep] for c in (0, 1))
 
 
-def verify(spark: SparkSession, texts: DataFrame, pairs: DataFrame, k: int = K, percent: int = PERCENT) -> DataFrame:
+def verify(texts: DataFrame, pairs: DataFrame, k: int = K, percent: int = PERCENT) -> DataFrame:
     """Links (a, b) that connect what the pairs connect that reach the threshold, on the whole texts (doc, text): for
-    each batch a spanning forest, at most one row for each document in it. Only texts of candidates are exchanged."""
-    wanted = spark.sparkContext.broadcast(_doc_filter(pairs.select("a").unionByName(pairs.select(F.col("b").alias("a"))).distinct()))
-
-    def pick(batches):
-        for batch in batches:
-            ids, valid = _numbers(batch.column(0))
-            yield batch.filter(pa.array(valid & in_filter(wanted.value, _doc_key(ids))))
-
-    texts = texts.mapInArrow(pick, "doc long, text string")
+    each batch a spanning forest, at most one row for each document in it."""
     both = pairs.join(texts.select(F.col("doc").alias("a"), F.col("text").alias("x")), "a").join(texts.select(F.col("doc").alias("b"), F.col("text").alias("y")), "b").select("a", "b", "x", "y")
 
     def compare(batches):
@@ -239,6 +247,7 @@ def join(spark: SparkSession, docs: DataFrame, k: int = K, percent: int = PERCEN
     work.release()
     posts = work.table(_beginnings(docs, reps, levels, pieces, k, percent, common), "posts")
     texts = posts.where("text is not null").select("doc", "text")
+    marks = posts.where("text is not null").groupBy("doc").agg(*(F.when(F.count(F.lit(1)) == 1, F.first(c)).alias(c) for c in _SIG))
 
     # A pair's own overlap decides how far into both beginnings its first `common` shared shingles can stand.
     overlap = lambda x, y: F.ceil((x + y) * percent / (100 + percent))
@@ -246,20 +255,25 @@ def join(spark: SparkSession, docs: DataFrame, k: int = K, percent: int = PERCEN
     least = lambda x: F.least(F.lit(common), F.ceil(x * percent / 100))  # noqa: E731  a smaller document may share fewer
     n, m = F.col("n"), F.col("m")
     near = (F.least(n, m) * 100 >= F.greatest(n, m) * percent) & (n <= F.col("m_top")) & (m <= F.col("top")) & (F.col("pos") < reach(n, m)) & (F.col("m_pos") < reach(m, n))
-    open_rows = posts.drop("text").withColumn("g", F.col("doc"))
+    theirs = [f"u{c}" for c in _SIG]
+    differ = lambda size: F.coalesce(sum(F.bit_count(F.col(c).bitwiseXOR(F.col(u))) for c, u in zip(_SIG, theirs, strict=True)), F.lit(0)) <= n + size - 2 * overlap(n, size)
+    open_rows = posts.drop("text", *_SIG).withColumn("g", F.col("doc"))
     for r in range(rounds):
         order = (-F.col("mid")) if r == 0 else F.xxhash64(F.lit(r), "g")
         lead = open_rows.groupBy("t").agg(F.min(F.struct(order.alias("h"), "g", F.xxhash64(F.lit(r), "doc").alias("i"), "doc", "n", "top", "pos")).alias("lead"))
         lead = lead.select("t", F.col("lead.doc").alias("lead"), F.col("lead.n").alias("m"), F.col("lead.top").alias("m_top"), F.col("lead.pos").alias("m_pos"), F.col("lead.g").alias("other"))
-        led_by = open_rows.join(lead, "t").where((F.col("g") != F.col("other")) & near).groupBy("doc", "lead", "n", "m").agg(F.count(F.lit(1)).alias("c"))
-        star = work.table(led_by.where(F.col("c") >= least(F.greatest("n", "m"))).select(F.col("doc").alias("a"), F.col("lead").alias("b")), f"star-{r}")
-        edges.append(work.table(verify(spark, texts, star, k, percent), f"led-{r}"))
+        led_by = open_rows.join(lead, "t").where((F.col("g") != F.col("other")) & near).groupBy("doc", "lead", "n", "m").agg(F.count(F.lit(1)).alias("c"), F.min("pos").alias("p"))
+        bound = led_by.join(marks, "doc").join(marks.select(F.col("doc").alias("lead"), *(F.col(c).alias(u) for c, u in zip(_SIG, theirs, strict=True))), "lead").where(differ(m))
+        rarest = F.row_number().over(Window.partitionBy("doc").orderBy("p", "lead"))
+        star = bound.withColumn("i", rarest).where((F.col("c") >= least(F.greatest("n", "m"))) | (F.col("i") <= RAREST))
+        star = work.table(star.select(F.col("doc").alias("a"), F.col("lead").alias("b")), f"star-{r}")
+        edges.append(work.table(verify(texts, star, k, percent), f"led-{r}"))
         if not edges[-1].limit(1).count():
             break
         groups = components(work, _all(edges), f"groups-{r}")
         grouped = open_rows.drop("g").join(groups.withColumnRenamed("node", "doc"), "doc", "left").select("t", "doc", "n", "top", "pos", "mid", F.coalesce("component", "doc").alias("g"))
         if r == rounds - 1:
-            open_rows = work.table(grouped, "open")
+            open_rows = grouped
             break
         grouped = work.table(grouped, f"grouped-{r}")
         foreign = grouped.groupBy("t").agg(F.min("g").alias("g0"), F.max("g").alias("g1")).where("g0 < g1").select("t")
@@ -269,16 +283,19 @@ def join(spark: SparkSession, docs: DataFrame, k: int = K, percent: int = PERCEN
 
     # The token-group matrix of what is left. Of the h shingles that a document shares with a group, a partner in it
     # holds `common` at least, hence one of any h - common + 1: the members are looked up by those that the fewest hold.
-    unions = open_rows.groupBy("t", "g").agg(F.min("n").alias("low"), F.max("n").alias("high"), F.max("top").alias("most"), F.min("pos").alias("m_pos"), F.count(F.lit(1)).alias("held")).withColumnRenamed("g", "other")
+    open_rows = work.table(open_rows.join(marks, "doc"), "open")
+    alone = F.min("doc") == F.max("doc")  # one member alone holds it: its parities bound the overlap
+    unions = open_rows.groupBy("t", "g").agg(F.min("n").alias("low"), F.max("n").alias("high"), F.max("top").alias("most"), F.min("pos").alias("m_pos"), F.count(F.lit(1)).alias("held"), *(F.when(alone, F.first(c)).alias(u) for c, u in zip(_SIG, theirs, strict=True))).withColumnRenamed("g", "other")
     fits = (F.col("low") * percent <= F.col("n") * 100) & (F.col("high") * 100 >= F.col("n") * percent) & (F.col("low") <= F.col("top")) & (F.col("n") <= F.col("most"))
     fits &= (F.col("pos") < reach(n, F.col("low"))) & (F.col("m_pos") < reach(F.col("high"), n))
-    hits = open_rows.join(unions, "t").where((F.col("other") < F.col("g")) & fits).select("t", "doc", "n", "top", "pos", "other", "held")
+    fits &= differ(F.col("low"))
+    hits = open_rows.join(unions, "t").where((F.col("other") < F.col("g")) & fits).select("t", "doc", "n", "top", "pos", "other", "held", *_SIG)
     bound = Window.partitionBy("doc", "other")
     rare = hits.withColumn("h", F.count(F.lit(1)).over(bound)).withColumn("i", F.row_number().over(bound.orderBy("held", "t"))).where(F.col("i") <= F.col("h") - least(n) + 1)
-    member = open_rows.select("t", F.col("doc").alias("b"), F.col("n").alias("m"), F.col("top").alias("m_top"), F.col("pos").alias("m_pos"), F.col("g").alias("other"))
-    pairs = rare.join(member, ["t", "other"]).where(near).select(F.col("doc").alias("a"), "b").distinct()
+    member = open_rows.select("t", F.col("doc").alias("b"), F.col("n").alias("m"), F.col("top").alias("m_top"), F.col("pos").alias("m_pos"), F.col("g").alias("other"), *(F.col(c).alias(u) for c, u in zip(_SIG, theirs, strict=True)))
+    pairs = rare.join(member, ["t", "other"]).where(near & differ(m)).select(F.col("doc").alias("a"), "b").distinct()
     opened = work.table(pairs, "pairs")
-    edges.append(work.table(verify(spark, texts, opened, k, percent), "opened"))
+    edges.append(work.table(verify(texts, opened, k, percent), "opened"))
     work.release()
 
     # A class has the component of its representative, the smallest document in it.
@@ -303,11 +320,25 @@ def stage(spark: SparkSession, docs: DataFrame, sf_dir: str, keep_empty: bool =
     words link with nothing: they stay, or with keep_empty=False (earlier stages may have emptied them) they all go.
     Rows without doc_id link with nothing and stay alike.
     """
-    out = Workspace(spark, "near").table(join(spark, docs), "groups").where("doc_id is not null")
-    mark = next(c for c in (f"mark{i}" for i in range(len(docs.columns) + 1)) if c not in docs.columns)
-    per = out.groupBy(F.col("doc_id").alias(mark)).agg(F.max(F.col("doc_id") != F.col("component_id")).alias("gone"), F.count(F.lit(1)).alias("rows"))
-    gone, again = (per.where(x).select(mark) for x in ("gone or rows > 1", "not gone and rows > 1"))
+    work = Workspace(spark, "near")
+    out = work.table(join(spark, docs), "groups").where("doc_id is not null")
+    per = out.groupBy(F.col("doc_id").alias("key")).agg(F.max(F.col("doc_id") != F.col("component_id")).alias("gone"), F.count(F.lit(1)).alias("rows"))
+    marks = work.table(per.where("gone or rows > 1"), "marks")
     docs = docs if keep_empty else docs.where(F.coalesce(F.col("text"), F.lit("")).rlike(r"[^\x20\x09-\x0D]"))
-    key = docs["doc_id"].cast("long")
-    rows = docs.join(again, key == again[mark], "left_semi").groupBy("doc_id").agg(F.min_by(F.struct(*(F.col(f"`{c}`") for c in docs.columns)), F.xxhash64("text")).alias(mark))
-    return docs.join(gone, key == gone[mark], "left_anti").unionByName(rows.select(f"{mark}.*"))
+    # A filter without misses tells which rows may be marked; only those are exchanged with the marks.
+    marked = spark.sparkContext.broadcast(_doc_filter(marks.select("key")))
+    at = docs.columns.index("doc_id")
+
+    def side(may: bool):
+        def run(batches):
+            for batch in batches:
+                ids, valid = _numbers(batch.column(at).cast(pa.int64()))
+                yield batch.filter(pa.array((valid & in_filter(marked.value, _doc_key(ids))) == may))
+
+        return docs.mapInArrow(run, docs.schema)
+
+    row = side(True).select(F.col("doc_id").cast("long").alias("key"), F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), F.xxhash64("text").alias("h"))
+    left = row.join(marks, "key", "left")
+    rest = left.where("gone is null").select("row.*")
+    first = left.where("not gone").groupBy("key").agg(F.min_by("row", "h").alias("row")).select("row.*")
+    return side(False).unionByName(rest).unionByName(first)
