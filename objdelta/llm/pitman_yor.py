@@ -15,7 +15,8 @@ rows have count 0), and a second pass deals them with document numbers for scori
 rows stream past them. After a sweep every bucket sends its contexts' tables to shards by context hash; a shard adds
 them up and answers each bucket about its own contexts, so no task holds the totals of all contexts. Words that make
 up over 1/256 of a sample are dealt by the word before to buckets of their own; the driver adds up those few words'
-counts, so that no word's occurrences meet in one task. Which words these are changes only the draws.
+counts, so that no word's occurrences meet in one task. The draws are keyed by word, context and sweep, so the scores are
+the same however the rows are dealt. Buckets follow the bytes of the texts.
 
 Defined cases: a null or empty text is its end token alone; rows that share a doc_id are summed; rows without doc_id
 are left out; with no training row every word is unknown (probability 1); an empty table gives an empty result;
@@ -34,12 +35,14 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Workspace, chunks, id_bucket, read_table, text_buffers, word_hashes
+from .common import Workspace, chunks, id_bucket, mix, read_table, text_buffers, word_hashes
 
 FOLD, HELD = 5, 1
 END = np.uint64(0xE4D0F7E4D0F7E4D1)  # the end token's word hash
 START = np.uint64(0xA3B19C5D2E87F461)  # the context of a text's first token
-HOT_SHARE, SEGMENT_BYTES = 1 / 256, 8 << 20
+HOT_SHARE, SEGMENT_BYTES, BUCKET_BYTES = 1 / 256, 4 << 20, 12 << 20
+#: A context is named by so many high bits of its word's hash.
+CONTEXT_BITS = 48
 SWEEPS, BURN_IN = 3, 1
 EXACT = 32  # customers up to which tables are drawn from the exact conditional
 
@@ -52,6 +55,15 @@ def unpack(blob: bytes):
     return pickle.loads(zstandard.ZstdDecompressor().decompress(blob))
 
 
+def squeeze(x: np.ndarray) -> bytes:
+    """Sorted hashes as differences, byte planes apart: the high planes are nearly all zero and pack to nothing."""
+    return np.ascontiguousarray(np.diff(x, prepend=np.uint64(0)).view(np.uint8).reshape(-1, 8).T).tobytes()
+
+
+def expand(raw: bytes) -> np.ndarray:
+    return np.cumsum(np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(8, -1).T).view(np.uint64).ravel(), dtype=np.uint64)
+
+
 def small(x: np.ndarray) -> np.ndarray:
     """The same numbers in the narrowest unsigned type."""
     top = int(x.max()) if len(x) else 0
@@ -103,17 +115,17 @@ def segment_blobs(word, first, who, ids, train, buckets: int, hot: np.ndarray, k
     order = np.argsort(home, kind="stable")
     home, doc, n, pair = home[order], doc[order], n[order], pair[order]
     edges = np.searchsorted(home, np.arange(buckets + hot_buckets(buckets) + 1))
-    steps = np.diff(ids, prepend=0)
     for b in np.flatnonzero(np.diff(edges)).tolist():
         part = slice(edges[b], edges[b + 1])
         pairs, docs_of = _runs(pair[part])
         words, lens = _runs(pairs // n_contexts)
         mine, u = np.unique(pairs % n_contexts, return_inverse=True)
-        common = (vocabulary[words], small(lens), contexts[mine], small(u))
+        common = (squeeze(vocabulary[words]), small(lens), squeeze(contexts[mine] >> np.uint64(64 - CONTEXT_BITS)), small(u))
         if kind == 0:
             yield 0, b, pack((*common, small(np.add.reduceat(n[part] * train[doc[part]], np.cumsum(docs_of) - docs_of))))
         else:
-            yield 2, b, pack((*common, small(docs_of), small(doc[part]), small(n[part]), steps))
+            some, which = np.unique(doc[part], return_inverse=True)
+            yield 2, b, pack((*common, small(docs_of), small(which), small(n[part]), np.diff(ids[some], prepend=0)))
 
 
 # ---------------------------------------------------------------- seating
@@ -131,8 +143,34 @@ def log_stirling(d: float, most: int = EXACT) -> np.ndarray:
     return out
 
 
-def draw_tables(c: np.ndarray, odds: np.ndarray, stirling: np.ndarray, rng: np.random.Generator) -> np.ndarray:
+class Keyed:
+    """Uniform numbers that depend on each pair's key, the sweep and the call alone, not on where the pair lies."""
+
+    def __init__(self, key: np.ndarray, sweep: int):
+        self.key, self.calls = key, 64 * sweep
+
+    def random(self, n: int) -> np.ndarray:
+        self.calls += 1
+        return ((mix(self.key + mix(np.array([self.calls], np.uint64))) >> np.uint64(11)).astype(np.float64) + 0.5) / float(1 << 53)
+
+
+def poisson(mean: np.ndarray, u: np.ndarray, v: np.ndarray) -> np.ndarray:
+    """Poisson numbers from two uniform ones: by inversion up to a mean of 50, beyond by the normal approximation."""
+    k, p = np.zeros(len(mean)), np.exp(-np.minimum(mean, 50))
+    left = u - p
+    for i in range(1, 200):
+        more = left > 0
+        if not more.any():
+            break
+        k += more
+        p = p * np.minimum(mean, 50) / i
+        left -= p
+    return np.where(mean <= 50, k, np.maximum(0, np.rint(mean + np.sqrt(mean) * np.sqrt(-2 * np.log(u)) * np.cos(2 * np.pi * v)))).astype(np.int64)
+
+
+def draw_tables(c: np.ndarray, odds: np.ndarray, stirling: np.ndarray, rng: np.random.Generator | Keyed) -> np.ndarray:
     """Tables of every (context, word) given its customers and the odds of a new table."""
+    u, v, w = (rng.random(len(c)) for _ in range(3))
     t = np.ones(len(c), np.int64)
     first = np.minimum(c, EXACT)
     for size in range(2, EXACT + 1):
@@ -144,12 +182,12 @@ def draw_tables(c: np.ndarray, odds: np.ndarray, stirling: np.ndarray, rng: np.r
             r = rows[at : at + 200_000]
             logp = stirling[size, 1 : size + 1][None] + np.log(odds[r])[:, None] * k[None]
             p = np.exp(logp - logp.max(axis=1, keepdims=True)).cumsum(axis=1)
-            t[r] = 1 + (p < rng.random(len(r))[:, None] * p[:, -1:]).sum(axis=1)
+            t[r] = 1 + (p < u[r][:, None] * p[:, -1:]).sum(axis=1)
     # Beyond EXACT customers, new tables arrive at the rate odds / (odds + i); their number over a stretch is Poisson.
     rest = np.flatnonzero(c > EXACT)
     if len(rest):
         mean = odds[rest] * np.log((c[rest] + odds[rest]) / (EXACT + odds[rest]))
-        t[rest] = np.minimum(c[rest], t[rest] + rng.poisson(mean))
+        t[rest] = np.minimum(c[rest], t[rest] + poisson(mean, v[rest], w[rest]))
     t[c == 0] = 0
     return t
 
@@ -171,16 +209,16 @@ class Totals:
     def local(self, customers: np.ndarray, tables: list[np.ndarray]) -> Totals:
         """The same with one bucket's contexts."""
         out = copy.copy(self)
-        out.customers, out.tables = customers, tables
+        out.customers, out.tables = customers.astype(float), [x.astype(float) for x in tables]
         return out
 
 
 class Bucket:
     """Counts of one bucket's words and their seating after each sweep."""
 
-    def __init__(self, bucket: int, blob: bytes, contexts: int):
-        self.bucket, self.contexts = bucket, contexts
-        self.words, lens, self.u, self.c = unpack(blob)
+    def __init__(self, bucket: int, blob: bytes | tuple, contexts: int, names: np.ndarray | None = None):
+        self.bucket, self.contexts, self.names = bucket, contexts, names
+        self.words, lens, self.u, self.c = blob if isinstance(blob, tuple) else unpack(blob)
         self.u, self.c = self.u.astype(np.int64), self.c.astype(np.int64)
         self.w = np.repeat(np.arange(len(self.words)), lens)
         self.pair = self.w * contexts + self.u
@@ -191,7 +229,7 @@ class Bucket:
     def resume(self, seats: list[np.ndarray]) -> Bucket:
         """The bucket with the seatings of earlier sweeps."""
         self.seats = [x.astype(np.int64) for x in seats]
-        self.parent = [np.bincount(self.w, weights=x, minlength=len(self.words)) for x in self.seats]
+        self.parent = [np.bincount(self.w, weights=x, minlength=len(self.words)) if len(x) else None for x in self.seats]
         return self
 
     def _overall(self, own: np.ndarray, hot: np.ndarray, totals: Totals) -> np.ndarray:
@@ -210,7 +248,7 @@ class Bucket:
     def sweep(self, totals: Totals) -> Bucket:
         """Sample the tables given the totals and the parent's customers of the sweep before."""
         s = len(self.seats)
-        rng = np.random.default_rng([self.bucket, s])
+        rng = Keyed(mix(self.words)[self.w] ^ (self.u if self.names is None else self.names[self.u]).astype(np.uint64), s)
         mass = (self.parents(s - 1, totals) - totals.d1) / (totals.theta1 + totals.all_tables[s - 1])
         odds = (totals.theta2 + totals.d2 * totals.tables[s - 1][self.u]) * mass[self.w]
         t = draw_tables(self.c, np.maximum(odds, 1e-12), log_stirling(totals.d2), rng)
@@ -239,7 +277,7 @@ class Bucket:
 
 def merge_counts(blobs: list[bytes]) -> tuple:
     """(words, pairs of each, contexts, context of each pair, count) from a bucket's blobs of all segments."""
-    parts = [unpack(b) for b in blobs]
+    parts = [(expand(p[0]), p[1], expand(p[2]), *p[3:]) for p in map(unpack, blobs)]
     vocabulary = np.unique(np.concatenate([p[0] for p in parts]))
     contexts = np.unique(np.concatenate([p[2] for p in parts]))
     keys, counts = [], []
@@ -261,31 +299,44 @@ class State:
         self.customers: np.ndarray | None = None
         self.tables: list[np.ndarray] = []
 
+    def __getstate__(self):
+        return self.__dict__ | {"words": squeeze(self.words), "contexts": squeeze(self.contexts)}
+
+    def __setstate__(self, kept):
+        self.__dict__ |= kept | {"words": expand(kept["words"]), "contexts": expand(kept["contexts"])}
+
     def hear(self, answers: list[bytes]) -> None:
         """Answers of all shards, in their order: (customers, tables) of this bucket's contexts."""
         parts = [unpack(b) for b in answers]
-        self.customers = np.concatenate([p[0] for p in parts]).astype(float)
-        self.tables.append(np.concatenate([p[1] for p in parts]).astype(float))
+        if self.customers is None:  # they don't change
+            self.customers = np.concatenate([p[0] for p in parts])
+        self.tables.append(np.concatenate([p[-1] for p in parts]))
+
+    def forget(self) -> None:
+        """Samples before the burn-in's end are needed for the next sweep only."""
+        for kept in (self.seats, self.tables):
+            for s in range(min(BURN_IN + 1, len(kept) - 1)):
+                kept[s] = kept[s][:0]
 
     def load(self, bucket: int) -> Bucket:
-        own = Bucket(bucket, pack((self.words, self.lens, self.u, self.c)), len(self.contexts))
+        own = Bucket(bucket, (self.words, self.lens, self.u, self.c), len(self.contexts), self.contexts)
         return own.resume(self.seats) if self.seats else own
 
     def messages(self, own: Bucket, shards: int):
         """(shard, blob): contexts, customers and tables; a shard is a range of context hashes."""
-        edges = np.searchsorted(self.contexts, np.arange(shards, dtype=np.uint64) * np.uint64((1 << 64) // shards))
-        customers = np.bincount(own.u, weights=own.c, minlength=own.contexts).astype(np.int64)
+        edges = np.searchsorted(self.contexts, np.arange(shards, dtype=np.uint64) * np.uint64((1 << CONTEXT_BITS) // shards))
+        customers = np.bincount(own.u, weights=own.c, minlength=own.contexts).astype(np.int64) if self.customers is None else None
         tables = np.bincount(own.u, weights=own.seats[-1], minlength=own.contexts).astype(np.int64)
         for k, (a, b) in enumerate(zip(edges, np.append(edges[1:], len(self.contexts)), strict=True)):
             if a < b:
-                yield k, pack((self.contexts[a:b], small(customers[a:b]), small(tables[a:b])))
+                yield k, pack((squeeze(self.contexts[a:b]), *(small(x[a:b]) for x in (customers, tables) if x is not None)))
 
 
 def answer(table: pa.Table) -> pa.Table:
     """What a shard tells every bucket that sent it something: totals over all buckets."""
-    senders, parts = table.column("bucket").to_pylist(), [unpack(b) for b in table.column("blob").to_pylist()]
+    senders, parts = table.column("bucket").to_pylist(), [(expand(p[0]), *p[1:]) for p in (unpack(b.as_py()) for b in table.column("blob"))]
     contexts, at = np.unique(np.concatenate([p[0] for p in parts]), return_inverse=True)
-    sums = [np.bincount(at, weights=np.concatenate([p[i] for p in parts])).astype(np.int64) for i in (1, 2)]
+    sums = [np.bincount(at, weights=np.concatenate([p[i] for p in parts])).astype(np.int64) for i in range(1, len(parts[0]))]
     blobs = [pack(tuple(small(x[np.searchsorted(contexts, p[0])]) for x in sums)) for p in parts]
     return rows_of(zip([1] * len(blobs), senders, table.column("shard").to_pylist(), blobs, strict=True))
 
@@ -326,8 +377,8 @@ def _everything():
 def score(spark: SparkSession, docs: DataFrame, sweeps: int = SWEEPS) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score."""
     work = Workspace(spark, "pitman-yor")
-    buckets = max(32, int(spark.conf.get("spark.sql.shuffle.partitions", "200")) // 2)
     source = docs.select(F.col("doc_id").cast("long").alias("doc"), F.coalesce(F.col("text"), F.lit("")).alias("text")).where("doc is not null")
+    buckets = max(32, (source.agg(F.sum(F.octet_length("text"))).first()[0] or 0) // BUCKET_BYTES)
     hot = _hot_words(source)
 
     def deal(kind):
@@ -360,7 +411,7 @@ def score(spark: SparkSession, docs: DataFrame, sweeps: int = SWEEPS) -> DataFra
         own = state = t = None
         answers: list[bytes] = []
         for batch in batches:
-            for kind, bucket, blob in zip(*(batch.column(i).to_pylist() for i in (0, 1, 3)), strict=True):
+            for kind, bucket, blob in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), (x.as_py() for x in batch.column(3)), strict=True):
                 if kind == 0:
                     state, own, answers = unpack(blob), None, []
                     continue
@@ -372,6 +423,7 @@ def score(spark: SparkSession, docs: DataFrame, sweeps: int = SWEEPS) -> DataFra
                     own, t = state.load(bucket), shipped.value.local(state.customers, state.tables)
                     total = own.counts(t)
                 words, lens, before, u, docs_of, doc, n, steps = unpack(blob)
+                words, before = expand(words), expand(before)
                 ids, n, doc = np.cumsum(steps), n.astype(np.float64), doc.astype(np.int64)
                 w = np.repeat(np.searchsorted(own.words, words), lens)
                 known = total[w] > 0
@@ -397,7 +449,8 @@ def _round(spark: SparkSession, work: Workspace, rows: DataFrame, totals: Totals
 
     def run(table: pa.Table) -> pa.Table:
         table = table.sort_by([("kind", "ascending"), ("shard", "ascending")])
-        bucket, kinds, blobs = table.column("bucket")[0].as_py(), table.column("kind").to_pylist(), table.column("blob").to_pylist()
+        bucket, kinds = table.column("bucket")[0].as_py(), table.column("kind").to_pylist()
+        blobs = [x.as_py() for x in table.column("blob")]
         if s == 0:
             state = State(merge_counts(blobs))
             own = state.load(bucket)
@@ -406,16 +459,18 @@ def _round(spark: SparkSession, work: Workspace, rows: DataFrame, totals: Totals
             state.hear(blobs[kinds.index(1) :])
             own = state.load(bucket).sweep(shipped.value.local(state.customers, state.tables))
         state.seats = [small(x) for x in own.seats]
+        state.forget()
         met, c, p = own.count > 0, own.c, own.parent[-1]
         is_hot = np.isin(own.words, shipped.value.hot)
         p_cold = p[~is_hot]
         sums = [c.sum(), p.sum(), (met & ~is_hot).sum(), (c == 1).sum(), (c == 2).sum(), (p_cold == 1).sum(), (p_cold == 2).sum()]
         hot = (own.words[is_hot], own.count[is_hot], p[is_hot])
         out = [(0, bucket, 0, pack(state)), (2, bucket, 0, pack(([int(x) for x in sums], hot)))]
-        return rows_of(out + [(1, bucket, k, blob) for k, blob in state.messages(own, buckets)])
+        return rows_of(out + [(1, bucket, k, blob) for k, blob in state.messages(own, max(8, buckets // 8))])
 
     done = work.table(rows.groupBy("bucket").applyInArrow(run, ROWS), f"round{s}", ("kind",)).select("kind", "bucket", "shard", "blob")
     answers = work.table(done.where("kind = 1").groupBy("shard").applyInArrow(answer, ROWS), f"answers{s}")
+    work.drop(f"round{s}/kind=1")
     sums, count, parent = np.zeros(7), np.zeros(len(totals.hot)), np.zeros(len(totals.hot))
     for r in done.where("kind = 2").select("blob").collect():  # a few numbers of each bucket
         some, (words, c, p) = unpack(r[0])

@@ -436,3 +436,19 @@ def test_loser_tree_merges_front_coded_runs():
         while common < min(len(a), len(b)) and a[common] == b[common]:
             common += 1
         assert known == common
+
+
+def test_pitman_yor_scores_do_not_depend_on_dealing(spark, docs, monkeypatch):
+    df = frame(spark, docs)
+    one = {r.doc_id: r.score for r in pitman_yor.score(spark, df.coalesce(1)).collect()}
+    monkeypatch.setattr(pitman_yor, "BUCKET_BYTES", 500)
+    monkeypatch.setattr(pitman_yor, "SEGMENT_BYTES", 700)
+    other = {r.doc_id: r.score for r in pitman_yor.score(spark, df.repartition(7)).collect()}
+    assert one.keys() == other.keys() and all(abs(one[d] - other[d]) < 1e-6 for d in one)
+
+
+def test_poisson_moments():
+    r = np.random.default_rng(3)
+    for mean in (0.2, 3.0, 40.0, 900.0):
+        x = pitman_yor.poisson(np.full(50_000, mean), r.random(50_000), r.random(50_000))
+        assert abs(x.mean() - mean) < 0.05 * mean and abs(x.var() - mean) < 0.05 * mean
