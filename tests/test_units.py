@@ -184,17 +184,17 @@ def test_store_flags_limit_and_failures(spark, small):
     limited.save({"t": small})
     with pytest.raises(StorageLimit):
         limited.save({"t": small})
-    prefix = both._blobs("t", [0]).select("fp_prefix").first()[0]
+    prefix = both._blobs(["t/save=0"]).select("fp_prefix").first()[0]
     delete(spark, f"{w.root}/both/blobs/t/save=0/fp_prefix={prefix}")
     with pytest.raises(MissingReference):
         both.load({"t"}, 0)
-    bad = plain._blobs("t", [0]).withColumn("blob", F.lit("[]").cast("binary"))
+    bad = plain._blobs(["t/save=0"]).withColumn("blob", F.lit("[]").cast("binary"))
     bad.limit(10_000).write.partitionBy("fp_prefix").parquet(f"{w.root}/plain/blobs/t/save=7")
-    plain.states[0]["entries"]["t"]["blobs"] = [7]
+    plain.states[0]["entries"]["t"]["owners"] = ["t/save=7"]
     with pytest.raises(CorruptParcel):
         plain.load({"t"}, 0)
     bad.write.partitionBy("fp_prefix").parquet(f"{w.root}/plain/blobs/t/save=9")
-    assert plain.vacuum() == 1
+    assert plain.vacuum() == 2  # save=9, and save=0, which no entry owns since state 0 was pointed elsewhere
 
 
 def test_tracker_and_tables(spark):
@@ -241,3 +241,23 @@ def test_plans_prune_and_push(spark, sf):
     assert "PushedFilters" in plan and "EqualTo(o_orderstatus,F)" in plan and "CartesianProduct" not in plan
     read = queries.QUERIES["op_agg_parcel"](spark, sf)._jdf.queryExecution().toString()
     assert "o_totalprice" not in read
+
+
+def test_store_one_index_keys_and_links(spark):
+    """A second name costs nothing, one changed row one parcel, and a name linked to an accessed one is saved with it."""
+    base = spark.range(400).select(F.col("id"), F.concat(F.lit("n"), "id").alias("name"))
+    changed = base.withColumn("name", F.when(F.col("id") == 7, F.lit("new")).otherwise(F.col("name")))
+    s = Store(spark, Workspace(spark, "t").root)
+    keys = {"a": ["id"], "b": ["id"], "c": ["id"]}
+    s.save({"a": base, "c": base.limit(0)}, keys=keys)
+    s.save({"a": base, "b": base, "c": base.limit(0)}, accessed={"b"}, keys=keys, links={("a", "b")})
+    assert s.states[1]["counts"].keys() == {"a", "b"} and s.states[1]["counts"]["b"] == {"parcels": s.states[0]["counts"]["a"]["parcels"], "written": 0, "bytes": 0}
+    s.save({"a": changed, "b": changed, "c": base.limit(0)}, accessed={"a"}, keys=keys)
+    assert s.states[2]["counts"]["a"]["written"] == 1 and s.states[2]["counts"]["b"]["written"] == 0 and "c" not in s.states[2]["counts"]
+    assert s.states[2]["entries"]["b"]["owners"] == ["a/save=0", "a/save=2"]
+    again = Store.open(spark, s.path)
+    for state, want in ((0, base), (1, base), (2, changed)):
+        for name in again.states[state]["entries"].keys() - {"c"}:
+            assert sorted(map(tuple, again.load({name}, state)[name].collect())) == sorted(map(tuple, want.collect()))
+    assert again.load({"c"}, 0)["c"].count() == 0
+    assert again.vacuum() == 4  # nothing is in the folders of the empty c, of b (two saves) and of the second save of a
