@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import hashlib
+
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -57,3 +60,23 @@ def dedup(stream: DataFrame, late: str = "2 days") -> DataFrame:
 def late_events(events: DataFrame, watermark: str) -> DataFrame:
     """Side count of rows older than a watermark."""
     return events.where(F.col("ts") < F.lit(watermark).cast("timestamp")).groupBy("event_type").agg(F.count(F.lit(1)).alias("late"))
+
+
+def interval_join(left: DataFrame, right: DataFrame, width: str, late: str = "2 days") -> DataFrame:
+    """Pairs of one user whose right event follows the left one within width; old state is dropped by the watermarks."""
+    a = left.withWatermark("ts", late).select("user_id", F.col("event_id").alias("left_id"), F.col("ts").alias("t0"))
+    b = right.withWatermark("ts", late).select(F.col("user_id").alias("other"), F.col("event_id").alias("right_id"), F.col("ts").alias("t1"))
+    return a.join(b, F.expr(f"user_id = other and t1 > t0 and t1 <= t0 + interval {width}")).select("user_id", "left_id", "right_id")
+
+
+def change_detector(stream: DataFrame) -> DataFrame:
+    """(user_id, fp) of every delivery whose bytes differ from the user's last ones; the state is one fingerprint each."""
+
+    def detect(key, frames, state):
+        rows = sorted(f"{i}|{t}" for f in frames for i, t in zip(f["event_id"], f["event_type"], strict=True))
+        fp = hashlib.md5("\n".join(rows).encode()).hexdigest()
+        if not state.exists or state.get[0] != fp:
+            state.update((fp,))
+            yield pd.DataFrame({"user_id": [key[0]], "fp": [fp]})
+
+    return stream.groupBy("user_id").applyInPandasWithState(detect, "user_id long, fp string", "fp string", "append", "NoTimeout")

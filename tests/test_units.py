@@ -261,3 +261,27 @@ def test_store_one_index_keys_and_links(spark):
             assert sorted(map(tuple, again.load({name}, state)[name].collect())) == sorted(map(tuple, want.collect()))
     assert again.load({"c"}, 0)["c"].count() == 0
     assert again.vacuum() == 4  # nothing is in the folders of the empty c, of b (two saves) and of the second save of a
+
+
+def test_small_trees_against_enumeration():
+    import random
+
+    from objdelta.plans import exhaustive
+
+    r = random.Random(2)
+    for _ in range(30):
+        nodes = [(0, 100, 0)] + [(r.randrange(i), r.randrange(10, 900), r.randrange(0, 900_000)) for i in range(1, r.randrange(2, 9))]
+        best, greedy = exhaustive.best_tree(nodes, 300), exhaustive.greedy_tree(nodes, 300)
+        whole, split = exhaustive.tree_cost(nodes, (1, *[0] * (len(nodes) - 1)), 300), exhaustive.tree_cost(nodes, (1,) * len(nodes), 300)
+        assert best <= greedy and best <= min(whole, split)
+        assert whole == 300 * 10**6 + sum(n[1] for n in nodes) * sum(n[2] for n in nodes)
+
+
+def test_new_queries_without_sql(spark, sf):
+    from objdelta import queries
+
+    rows = queries.QUERIES["optimality_tiny_lists"](spark, sf).collect()
+    assert len(rows) == 9 and all(0.9 < x.optimality <= 1 for x in rows)
+    assert queries.QUERIES["tracker_overhead"](spark, sf).first().with_tracker > 0
+    shares = queries.QUERIES["save_breakdown"](spark, sf).groupBy("state").agg(F.sum("share").alias("s")).collect()
+    assert len(shares) == 2 and all(abs(x.s - 1) < 1e-9 for x in shares)
