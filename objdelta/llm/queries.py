@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontaminate, jaccard_join, line_dedup, packing, pitman_yor, pivot_index, quality, suffix_dedup, toxicity, url_filter
+from . import decontaminate, jaccard_join, line_dedup, oracles, packing, pitman_yor, pivot_index, quality, suffix_dedup, toxicity, url_filter
 
 QUERIES = {
     "op1_url_filter": url_filter.query,
@@ -18,6 +18,9 @@ QUERIES = {
     "llm_url_rules": url_filter.rules_query,
 }
 ORACLES = {
+    "op3_pivot_index": oracles.VECTORS,
+    "op6_jaccard_join": oracles.SHINGLES,
+    "op9_suffix_dedup": oracles.SUFFIXES,
     "op7_line_dedup": line_dedup.ORACLE,
     "llm_url_rules": url_filter.RULES_ORACLE,
 }

@@ -452,3 +452,34 @@ def test_poisson_moments():
     for mean in (0.2, 3.0, 40.0, 900.0):
         x = pitman_yor.poisson(np.full(50_000, mean), r.random(50_000), r.random(50_000))
         assert abs(x.mean() - mean) < 0.05 * mean and abs(x.var() - mean) < 0.05 * mean
+
+
+def test_tiles_against_brute_force():
+    """Longest free match first, ties by place in the document, then in the item, until none of k tokens is left."""
+
+    def brute(doc, item, k):
+        used_doc, used_item, tiles = set(), set(), []
+        while True:
+            best = (0, 0, 0)
+            for i in range(len(doc)):
+                for j in range(len(item)):
+                    n = 0
+                    while i + n < len(doc) and j + n < len(item) and doc[i + n] == item[j + n] and i + n not in used_doc and j + n not in used_item:
+                        n += 1
+                    best = min(best, (-n, i, j))
+            n, i, j = -best[0], *best[1:]
+            if n < k:
+                return len(tiles), sum(tiles)
+            tiles.append(n)
+            used_doc |= set(range(i, i + n))
+            used_item |= set(range(j, j + n))
+
+    r = random.Random(4)
+    for _ in range(150):
+        k = r.choice([2, 3])
+        item = [r.randrange(4) for _ in range(r.randrange(k, 12))]
+        cut = r.randrange(len(item))
+        doc = [r.randrange(4) for _ in range(r.randrange(8))] + item[cut:] + [r.randrange(4) for _ in range(r.randrange(4))] + item[:cut]
+        pairs = [(i, j) for i in range(len(doc) - k + 1) for j in range(len(item) - k + 1) if doc[i : i + k] == item[j : j + k]]
+        if pairs:
+            assert decontaminate.tile(np.array(doc), np.array(item), pairs, k) == brute(doc, item, k)
