@@ -5,7 +5,8 @@ at most `max_docs` labelled documents, whose label stands for each of their line
 weighted by the lines' lengths, are averaged over the document and calibrated to a probability.
 
 Defined cases: a null or empty text is one empty line and is scored like any other; without labelled rows every
-score is 0.5; null labels are ignored; repeated rows are scored once each; further columns are ignored.
+score is 0.5; null labels are ignored; repeated rows are scored once each; rows without doc_id are scored and count as
+not held out; an empty table gives an empty result; further columns are ignored.
 """
 
 from __future__ import annotations

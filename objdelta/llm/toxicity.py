@@ -10,7 +10,8 @@ At most `max_toxic` + `max_clean` labelled documents outside the held-out fold a
 among them count once, so that a stem isn't learned from one text's copies.
 
 Defined cases: a null or empty text matches nothing and gets the score of such texts; without labels the fixed word
-list and default weights hold; null labels are ignored; repeated rows are scored once each; other columns are ignored.
+list and default weights hold; null labels are ignored; repeated rows are scored once each; rows without doc_id
+are scored and count as not held out; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations

@@ -483,3 +483,14 @@ def test_tiles_against_brute_force():
         pairs = [(i, j) for i in range(len(doc) - k + 1) for j in range(len(item) - k + 1) if doc[i : i + k] == item[j : j + k]]
         if pairs:
             assert decontaminate.tile(np.array(doc), np.array(item), pairs, k) == brute(doc, item, k)
+
+
+def test_classifiers_on_empty_tables_null_ids_and_repeats(spark):
+    docs = spark.createDataFrame([(1, "you idiot"), (1, "you idiot"), (None, "a fine day"), (4, None), (5, "")], "doc_id long, text string")
+    labels = spark.createDataFrame([(1, 1, 1), (4, 0, 0), (None, 1, 1), (5, None, None)], "doc_id long, quality int, toxic int")
+    for op in (toxicity, quality):
+        got = op.score(spark, docs, labels).collect()
+        assert sorted((r.doc_id or 0) for r in got) == [0, 1, 1, 4, 5]
+        assert all(0 <= r.score <= 1 and r.held_out in (True, False) and r.predicted in (0, 1) for r in got)
+        assert len({r.score for r in got if r.doc_id == 1}) == 1 and not next(r for r in got if r.doc_id is None).held_out
+        assert op.score(spark, docs.limit(0), labels).count() == 0 and op.score(spark, docs, labels.limit(0)).count() == 5
