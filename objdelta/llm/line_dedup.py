@@ -90,14 +90,14 @@ def apply(spark: SparkSession, docs: DataFrame, min_chars: int = 10, batches: in
         .agg(F.sort_array(F.collect_set("__pos")).alias("__out"))
     )
     # Columns of the input travel inside one struct, so their names never meet the ones used here.
-    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), F.col("doc_id").alias("id"), F.coalesce(F.col("text"), F.lit("")).alias("full"))
+    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"), F.col("doc_id").alias("id"), F.xxhash64(F.coalesce(F.col("text"), F.lit(""))).alias("t"))
     split = F.split("full", "\n", -1)
     # Kept lines are the slices between dropped positions: linear in the lines, whatever their number.
     bounds = F.concat(F.array(F.lit(-1)), F.col("__out"), F.array(F.size("split")))
     slices = F.flatten(F.transform(F.sequence(F.lit(1), F.size("__out") + 1), lambda i: F.slice(F.col("split"), F.element_at("bounds", i) + 2, F.element_at("bounds", i + 1) - F.element_at("bounds", i) - 1)))
-    joined = rows.withColumn("t", F.xxhash64("full")).join(flags, (F.col("id") == F.col("__doc")) & (F.col("t") == F.col("__text")), "left")
+    joined = rows.join(flags, (F.col("id") == F.col("__doc")) & (F.col("t") == F.col("__text")), "left")
     return (
-        joined.withColumn("split", split)
+        joined.withColumn("full", F.coalesce("row.text", F.lit(""))).withColumn("split", split)
         .withColumn("bounds", F.when(F.col("__out").isNotNull(), bounds))
         .select(
             "row", F.size("split").cast("long").alias("lines"), F.coalesce(F.size("__out"), F.lit(0)).cast("long").alias("dropped"),
