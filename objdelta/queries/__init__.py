@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from . import baselines, catalogue, experiments, extensions, load, model, planning, relational, store, streams
+from . import bakeoff, baselines, catalogue, experiments, extensions, load, model, planning, relational, store, streams
 
 QUERIES: dict = {}
 ORACLES: dict = {}
-for _part in (model, planning, store, load, baselines, catalogue, relational, streams, extensions, experiments):
+for _part in (model, planning, store, load, baselines, catalogue, relational, streams, extensions, experiments, bakeoff):
     QUERIES |= _part.QUERIES
     ORACLES |= _part.ORACLES

@@ -116,15 +116,23 @@ def cumulative_saved(spark, d):
     return x.select("step", F.sum("n").over(w).alias("cum_snapshot"), F.sum("k").over(w).alias("cum_delta"))
 
 
+def _training_samples(spark, d):
+    return _union([churn.collect_samples(leaves(spark, d, s)) for s in SESSIONS.values() if s.training])
+
+
 @query("churn_gbt_scores")
 def churn_gbt_scores(spark, d):
-    """Trees trained on the training session, exported to a CASE column and applied to an evaluation session."""
-    model = churn.fit_gbt_churn(churn.collect_samples(leaves(spark, d, SESSIONS["churn_train_events"])), max_samples=20_000, trees=5, depth=3)
-    scored = churn.features(leaves(spark, d, SESSIONS["daily_series"]).withColumn("size", F.col("s0"))).withColumn("churn_ppm", model)
-    return scored.groupBy("kind", "churn_ppm").agg(F.count(F.lit(1)).alias("n_nodes"))
+    """Trees trained on the three training sessions, exported to a CASE column and applied to every evaluation session."""
+    model = churn.fit_gbt_churn(_training_samples(spark, d))
+    parts = []
+    for s in SESSIONS.values():
+        if not s.training:
+            scored = churn.features(leaves(spark, d, s).withColumn("size", F.col("s0"))).withColumn("churn_ppm", model)
+            parts.append(scored.groupBy(F.lit(s.name).alias("session"), "kind", "churn_ppm").agg(F.count(F.lit(1)).alias("n_nodes")))
+    return _union(parts)
 
 
 @query("churn_feature_profile")
 def churn_feature_profile(spark, d):
-    """Gain of every candidate feature; the best three are kept by the churn model."""
-    return churn.profile_features(churn.collect_samples(leaves(spark, d, SESSIONS["churn_train_events"])), max_samples=20_000)
+    """Gain of every candidate feature over the three training sessions; the best three are kept by the churn model."""
+    return churn.profile_features(_training_samples(spark, d))

@@ -174,7 +174,7 @@ def exhaustive_tiny(spark, d):
 
 @query("optimality_tiny")
 def optimality_tiny(spark, d):
-    """Greedy cost against the optimum on tiny stars of 1 to 3 lists by 1 to 3 leaves and more."""
+    """Greedy cost against the optimum on stars of one list and 1 to 12 leaves (optimality_tiny_lists has the lists by leaves)."""
     rows = [(r[0], r[1]) for r in _leaves(spark, d).orderBy("node_key").limit(12).select("size", "churn").collect()]
     out = []
     for n in range(1, 13):

@@ -7,7 +7,7 @@ import duckdb
 import pytest
 
 import __spark_entry__ as entry
-from objdelta import queries
+from objdelta import queries, sessions
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 
@@ -55,3 +55,21 @@ def test_oracles_belong_to_queries():
 def test_planner_comparison_is_whole(duck):
     rows = duck.execute(queries.ORACLES["storage_by_planner"]).fetchall()
     assert len({r[0] for r in rows}) == 5 and len({r[1] for r in rows}) == 7 and len(rows) == 35
+
+
+def test_sweep_ends_at_one_state_and_at_all(duck):
+    rows = {r[0]: r[1:] for r in duck.execute(queries.ORACLES["list_mutation_sweep"]).fetchall()}
+    bytes_of_lines = duck.execute("select sum(s0) from " + sessions.leaves_sql(sessions.SESSIONS["commerce_mining"])).fetchone()[0]
+    assert sorted(rows) == [0, 1, 5, 10, 25, 35, 50, 75, 100]
+    assert rows[0][1] == bytes_of_lines and rows[0][0] == 10 * bytes_of_lines
+    assert rows[100][1] == rows[100][0]
+    ideal = [rows[p][1] for p in sorted(rows)]
+    assert ideal == sorted(ideal) and all(rows[p][3] <= rows[p][2] for p in rows)
+
+
+def test_ablation_filters_never_add_bytes(duck):
+    rows = {(s, v): (b, m) for s, v, b, m, _ in duck.execute(queries.ORACLES["ablation_by_session"]).fetchall()}
+    assert len(rows) == 20
+    for s in {k[0] for k in rows}:
+        assert rows[s, "both"][0] == rows[s, "change_detector"][0] <= rows[s, "scope_filter"][0] <= rows[s, "neither"][0]
+        assert rows[s, "both"][1] <= rows[s, "neither"][1]
