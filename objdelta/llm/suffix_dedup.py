@@ -32,6 +32,8 @@ from .bitfilter import FILTER_BITS, build_filter, in_filter
 from .common import Workspace, chunks, mix, prefix_sums, read_table, slide_hashes, span_hashes, text_buffers
 
 WIDTH, GRAM = 50, 16
+#: Bytes of the longest span that a run can hold.
+MAX_RECORD = 255
 #: Text over which equal spans are combined before the exchange.
 COMBINE_BYTES = 8 << 20
 _LOW = np.uint64(0xFFFFFFFF)
@@ -215,6 +217,8 @@ def _source(docs: DataFrame) -> DataFrame:
 
 def repeated_intervals(spark: SparkSession, docs: DataFrame, work: Workspace, width: int = WIDTH, gram: int = GRAM, filter_bits: int = FILTER_BITS) -> DataFrame:
     """(doc, th, begin, end): byte intervals to remove, which may overlap."""
+    if not 0 < gram <= width or 2 * width - gram > MAX_RECORD:
+        raise ValueError(f"width {width} and gram {gram}: a run's lengths are bytes, so 2 * width - gram is at most {MAX_RECORD}")
     source = _source(docs).where(F.col("doc").isNotNull() & (F.octet_length("text") >= width))
 
     def grams(batches):

@@ -412,6 +412,12 @@ def brute_suffix(docs, width=50):
     return {d: sorted(v) for d, v in out.items()}
 
 
+def test_suffix_dedup_rejects_widths_beyond_a_run(spark, docs):
+    for width, gram in ((136, 16), (10, 16), (50, 0)):
+        with pytest.raises(ValueError, match="width"):
+            suffix_dedup.remove(spark, frame(spark, docs), width=width, gram=gram)
+
+
 def test_suffix_dedup(spark, docs):
     r = random.Random(3)
     pool = ["".join(r.choice("ab cdé") for _ in range(r.randint(40, 160))) for _ in range(20)]
