@@ -21,10 +21,17 @@ def repeated(sf, tmp_path_factory):
     return str(folder), con
 
 
-@pytest.mark.parametrize("name", ["op_lateral_top"])
+@pytest.mark.parametrize("name", ["op_lateral_top", "cd_scope_ablation"])
 def test_repeated_rows_equal_sql(name, spark, repeated):
     folder, con = repeated
     df = queries.QUERIES[name](spark, folder)
     found = con.execute(queries.ORACLES[name])
     at = [[x[0] for x in found.description].index(c) for c in df.columns]
     assert Counter(tuple(r) for r in df.collect()) == Counter(tuple(r[i] for i in at) for r in found.fetchall())
+
+
+@pytest.mark.parametrize("name", ["cd_scope_ablation"])
+def test_leaves_are_exchanged_once(name, spark, sf):
+    """No join on the leaves, and the only exchange that sees one row for each leaf deals them out by list."""
+    plan = queries.QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan and plan.count("hashpartitioning(grp") == plan.count("MapInArrow") > 0
