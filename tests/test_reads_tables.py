@@ -5,7 +5,7 @@ from pyspark.errors import AnalysisException
 
 from objdelta import queries
 
-READERS = ["async_ablation"]
+READERS = ["async_ablation", "checker_confusion"]
 
 
 @pytest.mark.parametrize("name", READERS)
