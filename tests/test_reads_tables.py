@@ -5,10 +5,14 @@ from pyspark.errors import AnalysisException
 
 from objdelta import queries
 
-READERS = ["async_ablation", "checker_confusion"]
+READERS = ["async_ablation", "checker_confusion", "checker_quality"]
 
 
 @pytest.mark.parametrize("name", READERS)
 def test_query_needs_its_table(name, spark, tmp_path):
     with pytest.raises(AnalysisException, match="PATH_NOT_FOUND"):
         queries.QUERIES[name](spark, str(tmp_path)).collect()
+
+
+def test_checker_over_customers(spark, sf):
+    assert queries.QUERIES["checker_quality"](spark, sf).first()[:2] == (spark.read.parquet(f"{sf}/customer.parquet").count(), 1.0)
