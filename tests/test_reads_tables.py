@@ -5,7 +5,7 @@ from pyspark.errors import AnalysisException
 
 from objdelta import queries
 
-READERS = ["async_ablation", "checker_confusion", "checker_quality"]
+READERS = ["async_ablation", "checker_confusion", "checker_quality", "figure_example_scope"]
 
 
 @pytest.mark.parametrize("name", READERS)
