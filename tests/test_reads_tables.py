@@ -5,7 +5,7 @@ from pyspark.errors import AnalysisException
 
 from objdelta import queries
 
-READERS = ["async_ablation", "checker_confusion", "checker_quality", "figure_example_scope", "fingerprint_collision_odds", "latency_ecdf", "latency_percentiles"]
+READERS = ["async_ablation", "checker_confusion", "checker_quality", "figure_example_scope", "fingerprint_collision_odds", "latency_ecdf", "latency_percentiles", "op_carry_forward"]
 
 
 @pytest.mark.parametrize("name", READERS)
