@@ -5,7 +5,7 @@ from pyspark.errors import AnalysisException
 
 from objdelta import queries
 
-READERS = ["async_ablation", "checker_confusion", "checker_quality", "figure_example_scope", "fingerprint_collision_odds", "latency_ecdf", "latency_percentiles", "op_carry_forward", "share_above_think_time", "source_python_lists", "tracker_overhead"]
+READERS = ["async_ablation", "checker_confusion", "checker_quality", "figure_example_scope", "fingerprint_collision_odds", "latency_ecdf", "latency_percentiles", "op_carry_forward", "share_above_think_time", "source_python_lists", "tracker_overhead", "worked_sizes"]
 
 
 @pytest.mark.parametrize("name", READERS)
