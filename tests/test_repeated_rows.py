@@ -22,7 +22,7 @@ def repeated(sf, tmp_path_factory):
     return str(folder), con
 
 
-@pytest.mark.parametrize("name", ["op_lateral_top", "cd_scope_ablation", "storage_by_planner", "block_delta_bytes"])
+@pytest.mark.parametrize("name", ["op_lateral_top", "cd_scope_ablation", "storage_by_planner", "block_delta_bytes", "new_vs_alias"])
 def test_repeated_rows_equal_sql(name, spark, repeated):
     folder, con = repeated
     df = queries.QUERIES[name](spark, folder)
@@ -31,7 +31,7 @@ def test_repeated_rows_equal_sql(name, spark, repeated):
     assert Counter(tuple(r) for r in df.collect()) == Counter(tuple(r[i] for i in at) for r in found.fetchall())
 
 
-@pytest.mark.parametrize("name", ["cd_scope_ablation", "storage_by_planner"])
+@pytest.mark.parametrize("name", ["cd_scope_ablation", "storage_by_planner", "new_vs_alias"])
 def test_leaves_are_exchanged_once(name, spark, sf):
     """No join on the leaves, and the only exchange that sees one row for each leaf deals them out by list."""
     plan = queries.QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
