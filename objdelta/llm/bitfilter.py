@@ -1,4 +1,4 @@
-"""Bit filters of fixed size: membership of 64-bit keys without a miss, built piece by piece on the executors."""
+"""Bit filters of bounded size: membership of 64-bit keys without a miss, built piece by piece on the executors."""
 
 from __future__ import annotations
 
@@ -9,6 +9,8 @@ from pyspark.sql import functions as F
 
 #: Bits of a filter (2**27 bits are 16 MB) and its pieces.
 FILTER_BITS, FILTER_PIECES = 27, 1024
+#: Bits for each key that a filter should have, and bits of the largest filter (2**30 bits are 128 MB in every Python worker).
+KEY_BITS, MOST_BITS = 8, 30
 
 
 def _slots(key: np.ndarray, per_piece: int):
@@ -28,8 +30,16 @@ def set_bits(key: np.ndarray, per_piece: int) -> np.ndarray:
     return field
 
 
-def build_filter(keys: DataFrame, bits: int = FILTER_BITS, pieces: int = FILTER_PIECES) -> np.ndarray:
-    """Two bits for each value of keys.key; every piece of the filter is made by one task from its own keys."""
+def bits_for(keys: int, least: int = FILTER_BITS, most: int = MOST_BITS) -> int:
+    """Bits of a filter that lets under a twentieth of foreign keys pass, up to the largest filter."""
+    return max(least, min(most, (max(1, keys) * KEY_BITS - 1).bit_length()))
+
+
+def build_filter(keys: DataFrame, bits: int = FILTER_BITS, pieces: int = FILTER_PIECES, rounds: int = 1) -> np.ndarray:
+    """Two bits for each value of keys.key; every piece of the filter is made by one task from its own keys.
+
+    With several rounds the driver takes in that part of a large filter at a time; keys is then read as often.
+    """
     per_piece = (1 << bits) // pieces
 
     def piece(table: pa.Table) -> pa.Table:
@@ -38,8 +48,10 @@ def build_filter(keys: DataFrame, bits: int = FILTER_BITS, pieces: int = FILTER_
 
     named = keys.select("key", F.pmod(F.col("key"), F.lit(pieces)).cast("int").alias("piece"))
     out = np.zeros(1 << (bits - 3), np.uint8)
-    for row in named.groupBy("piece").applyInArrow(piece, "piece int, field binary").collect():
-        out[row[0] * (per_piece // 8) : (row[0] + 1) * (per_piece // 8)] = np.frombuffer(row[1], np.uint8)
+    for i in range(rounds):
+        part = named if rounds == 1 else named.where(F.col("piece") % rounds == i)
+        for row in part.groupBy("piece").applyInArrow(piece, "piece int, field binary").collect():
+            out[row[0] * (per_piece // 8) : (row[0] + 1) * (per_piece // 8)] = np.frombuffer(row[1], np.uint8)
     return out
 
 
