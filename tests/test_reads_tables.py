@@ -16,3 +16,21 @@ def test_query_needs_its_table(name, spark, tmp_path):
 
 def test_checker_over_customers(spark, sf):
     assert queries.QUERIES["checker_quality"](spark, sf).first()[:2] == (spark.read.parquet(f"{sf}/customer.parquet").count(), 1.0)
+
+
+def copied(spark, sf, folder, n):
+    """A folder with part and supplier, every row n times."""
+    for t in ("part", "supplier"):
+        x = spark.read.parquet(f"{sf}/{t}.parquet")
+        x.crossJoin(spark.range(n).select()).write.parquet(f"{folder}/{n}/{t}.parquet")
+    return f"{folder}/{n}"
+
+
+def by_method(name, spark, d):
+    return {r[0]: r[1:] for r in queries.QUERIES[name](spark, d).collect()}
+
+
+def test_latency_percentiles_follow_every_row(spark, sf, tmp_path):
+    """Every row three times: each cell has three times the bytes, so each figure is three times as long."""
+    once, thrice = (by_method("latency_percentiles", spark, d) for d in (sf, copied(spark, sf, tmp_path, 3)))
+    assert {m: pytest.approx([3 * v for v in x], abs=1e-5) for m, x in once.items()} == {m: list(x) for m, x in thrice.items()}
