@@ -34,3 +34,10 @@ def test_latency_percentiles_follow_every_row(spark, sf, tmp_path):
     """Every row three times: each cell has three times the bytes, so each figure is three times as long."""
     once, thrice = (by_method("latency_percentiles", spark, d) for d in (sf, copied(spark, sf, tmp_path, 3)))
     assert {m: pytest.approx([3 * v for v in x], abs=1e-5) for m, x in once.items()} == {m: list(x) for m, x in thrice.items()}
+
+
+def test_share_above_think_time_follows_every_row(spark, sf, tmp_path):
+    """A list's cell grows with the copies of its rows, over one second and then over 23; the bytes grow as much."""
+    once, few, many = (by_method("share_above_think_time", spark, d) for d in (sf, copied(spark, sf, tmp_path, 8), copied(spark, sf, tmp_path, 150)))
+    assert [x["snapshot"][:2] for x in (once, few, many)] == [(0, 0), (0, 500), (500, 500)]
+    assert all(x[m][2] == pytest.approx(n * many[m][2] / 150, abs=1e-6) for m in once for n, x in ((1, once), (8, few)))
